@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, compression, exact_dedup, jaccard_join, mixing, quality_rules
+from . import byte_bpe, chaining, compression, exact_dedup, jaccard_join, line_dedup, mixing, quality_rules, suffix_array, tool_calls
 from .common import documents
 
 
@@ -56,6 +56,27 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.join(documents(spark, sf_dir)).select("doc_id", "class_id", "n_links", "copies")
 
 
+
+def op3_tool_calls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    calls, results = tool_calls.from_messages(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+    return tool_calls.link(calls, results, tool_calls.SCHEMAS)
+
+
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.resolve(documents(spark, sf_dir))
+
+
+def op7_chaining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chaining.passages(documents(spark, sf_dir))
+
+
+def op9_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_array.passages(documents(spark, sf_dir))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_mixing, op2_exact_dedup, op3_tool_calls, op4_quality_rules, op5_line_dedup, op6_byte_bpe, op7_chaining, op8_quality_classifier, op9_suffix_array, op10_jaccard_join)}
+
+
 OP2_SQL = """
 WITH t AS (
   SELECT doc_id, length(coalesce(text, '')) AS chars,
@@ -69,5 +90,4 @@ SELECT doc_id,
 FROM t
 """
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_mixing, op2_exact_dedup, op4_quality_rules, op6_byte_bpe, op8_quality_classifier, op10_jaccard_join)}
 ORACLES: dict[str, str] = {"op2_exact_dedup": OP2_SQL}
