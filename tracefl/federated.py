@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, field, replace  # noqa: F401
 
 import numpy as np
 import pyarrow as pa
@@ -96,83 +96,125 @@ def local_update(x: np.ndarray, y: np.ndarray, theta: np.ndarray, cfg: TrainConf
     return w - theta, first, clipped
 
 
-def updates(rows: DataFrame, theta: np.ndarray, cfg: TrainConfig, mean: np.ndarray, scale: np.ndarray, keep: np.ndarray, round_: int) -> DataFrame:
-    """rows (participant_id, y, idx, val): (participant_id, delta, norm, clipped, n). Only `keep`'s features are trained."""
+@dataclass(frozen=True)
+class Run:
+    """One training: its configuration, the features it uses and how they are scaled."""
+
+    cfg: TrainConfig
+    mean: np.ndarray
+    scale: np.ndarray
+    keep: np.ndarray
+
+    @property
+    def at(self) -> np.ndarray:
+        """The trained coordinates; the bias is the last."""
+        return np.append(self.keep, self.cfg.features)
+
+
+def run_of(cfg: TrainConfig, mean: np.ndarray | None = None, scale: np.ndarray | None = None, keep: list[int] | None = None) -> Run:
+    return Run(cfg, np.zeros(cfg.features) if mean is None else mean, np.ones(cfg.features) if scale is None else scale, np.arange(cfg.features) if keep is None else np.asarray(sorted(keep)))
+
+
+def updates(rows: DataFrame, runs: dict[str, Run], theta: dict[str, np.ndarray], round_: int) -> DataFrame:
+    """rows (run, participant_id, y, idx, val): (run, participant_id, delta over all coordinates, norm, clipped, n)."""
 
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        table = table.combine_chunks()
+    def local(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        name, who = key[0].as_py(), key[1].as_py()
+        run = runs[name]
+        cfg, at, table = run.cfg, run.at, table.combine_chunks()
         x = _dense(table["idx"].chunk(0), table["val"].chunk(0), cfg.features)
-        x = ((x - mean) / scale)[:, keep]
+        x = ((x - run.mean) / run.scale)[:, run.keep]
         y = table["y"].to_numpy().astype(float)
-        at = np.append(keep, cfg.features)
-        delta, norm, clipped = local_update(x, y, theta[at], cfg)
+        got, norm, clipped = local_update(x, y, theta[name][at], cfg)
         if cfg.placement == "local" and cfg.z:
-            delta = delta + np.array([cfg.z * cfg.clip * py_normal(cfg.seed, "local", round_, key[0].as_py(), c) for c in at])
-        return pa.table({"participant_id": [key[0].as_py()], "delta": pa.array([delta.tolist()], pa.list_(pa.float64())), "norm": [norm], "clipped": [clipped], "n": [len(y)]})
+            got = got + np.array([cfg.z * cfg.clip * py_normal(cfg.seed, "local", round_, who, c) for c in at])
+        delta = np.zeros(cfg.features + 1)
+        delta[at] = got
+        return pa.table({"run": [name], "participant_id": [who], "delta": pa.array([delta.tolist()], pa.list_(pa.float64())), "norm": [norm], "clipped": [clipped], "n": [len(y)]})
 
-    return rows.select("participant_id", "y", "idx", "val").groupBy("participant_id").applyInArrow(run, "participant_id long, delta array<double>, norm double, clipped boolean, n long")
+    return rows.select("run", "participant_id", "y", "idx", "val").groupBy("run", "participant_id").applyInArrow(local, "run string, participant_id long, delta array<double>, norm double, clipped boolean, n long")
 
 
-def vector_sum(deltas: DataFrame, size: int, by_rows: bool = False) -> tuple[np.ndarray, dict]:
-    """Sum of the vectors: one row from each partition, then from each of about sqrt(partitions), to the driver."""
+def vector_sums(deltas: DataFrame) -> dict[str, tuple[np.ndarray, dict]]:
+    """For each run the sum of its vectors and counts: a row from each partition, then from each of about sqrt(partitions), to the driver."""
 
     def partial(batches):
-        total, n, clipped, norms, rows, seen = np.zeros(size), 0, 0, 0.0, 0, False
+        total: dict[str, list] = {}
         for b in batches:
             if not b.num_rows:
                 continue
-            seen = True
-            flat = b.column(0).flatten().to_numpy().reshape(b.num_rows, size)
-            total += flat.sum(axis=0)
-            n += int(np.sum(b.column(1).to_numpy()))
-            clipped += int(np.sum(b.column(2).to_numpy()))
-            norms += float(np.sum(b.column(3).to_numpy()))
-            rows += int(np.sum(b.column(4).to_numpy()))
-        if seen:
-            yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.float64())), *[pa.array([v], t) for v, t in ((n, pa.int64()), (clipped, pa.int64()), (norms, pa.float64()), (rows, pa.int64()))]], ["delta", "k", "clipped", "norms", "rows"])
-
-    schema = "delta array<double>, k long, clipped long, norms double, rows long"
-    own = F.transform("delta", lambda v: v * F.col("n")) if by_rows else F.col("delta")
-    first = deltas.select(own.alias("delta"), F.lit(1).cast("long").alias("k"), F.col("clipped").cast("long").alias("clipped"), F.col("norm").alias("norms"), F.col("n").alias("rows")).mapInArrow(partial, schema)
+            flat = b.column(1).flatten().to_numpy().reshape(b.num_rows, -1)
+            name = np.asarray(b.column(0).to_pylist())
+            rest = [b.column(i).to_numpy() for i in range(2, 6)]
+            for r in set(name.tolist()):
+                mine = name == r
+                new = [flat[mine].sum(axis=0), *[v[mine].sum() for v in rest]]
+                total[r] = [x + y for x, y in zip(total[r], new, strict=True)] if r in total else new
+        for r, (vector, k, clipped, norms, n) in total.items():
+            yield pa.RecordBatch.from_arrays([pa.array([r]), pa.array([vector.tolist()], pa.list_(pa.float64())), *[pa.array([v], t) for v, t in ((int(k), pa.int64()), (int(clipped), pa.int64()), (float(norms), pa.float64()), (int(n), pa.int64()))]], ["run", "delta", "k", "clipped", "norms", "rows"])
+
+    schema = "run string, delta array<double>, k long, clipped long, norms double, rows long"
+    first = deltas.select("run", "delta", F.lit(1).cast("long").alias("k"), F.col("clipped").cast("long").alias("clipped"), F.col("norm").alias("norms"), F.col("n").alias("rows")).mapInArrow(partial, schema)
     width = max(1, math.isqrt(int(deltas.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    got = first.repartition(width).mapInArrow(partial, schema).collect()  # sqrt(partitions) rows
-    total = np.sum([r["delta"] for r in got], axis=0) if got else np.zeros(size)
-    return np.asarray(total, float), {k: sum(r[k] for r in got) for k in ("k", "clipped", "norms", "rows")}
+    out: dict[str, tuple[np.ndarray, dict]] = {}
+    for r in first.repartition(width).mapInArrow(partial, schema).collect():  # runs by sqrt(partitions) rows
+        vector, seen = out.get(r["run"], (0.0, dict.fromkeys(("k", "clipped", "norms", "rows"), 0)))
+        out[r["run"]] = (vector + np.array(r["delta"]), {k: seen[k] + r[k] for k in seen})
+    return out
 
 
-def train(everyone: DataFrame, shards: Shards, packed: DataFrame, cfg: TrainConfig, mean: np.ndarray | None = None, scale: np.ndarray | None = None, keep: list[int] | None = None, theta0: np.ndarray | None = None, ledger=None, noise: Callable[..., float] = py_normal) -> Result:
-    """R rounds. packed: (script_id, y, idx, val) of the training scripts; shards maps a cohort to (participant_id, script_id)."""
+def train_many(runs: dict[str, Run], everyone: dict[str, DataFrame], shards: Shards, packed: DataFrame, theta0: np.ndarray | None = None, ledger=None, noise: Callable[..., float] = py_normal) -> dict[str, Result]:
+    """Independent runs, one job for each round of all of them. everyone: each run's participants; shards maps (run, participant_id) to (run, participant_id, script_id)."""
     from .participants import cohort, cohort_fixed
 
-    mean = np.zeros(cfg.features) if mean is None else mean
-    scale = np.ones(cfg.features) if scale is None else scale
-    keep_ = np.arange(cfg.features) if keep is None else np.asarray(sorted(keep))
-    at = np.append(keep_, cfg.features)
-    theta = np.zeros(cfg.features + 1) if theta0 is None else theta0.copy()
-    out = Result(theta)
-    for r in range(1, cfg.rounds + 1):
-        group = cohort_fixed(everyone, max(1, round(cfg.q * cfg.participants)), r, cfg.seed) if cfg.denominator == "realised" and cfg.q < 1 else cohort(everyone, cfg.q, r, cfg.seed)
-        rows = shards(group).join(packed, "script_id")
-        total, seen = vector_sum(updates(rows, theta, cfg, mean, scale, keep_, r), len(at), cfg.weights == "rows")
-        if cfg.weights == "rows":
-            total = total / max(seen["rows"], 1)
-        else:
-            total = total / (cfg.q * cfg.participants if cfg.denominator == "expected" else max(seen["k"], 1))
-        if cfg.z and cfg.placement != "local":
-            sigma = cfg.z * cfg.clip / (cfg.q * cfg.participants)
-            total = total + sigma * np.array([noise(cfg.seed, "round", r, c) for c in at])
-        if ledger is not None and cfg.z:
-            ledger.charge(f"round {r}", cfg.q, cfg.z)
-        theta = theta.copy()
-        theta[at] += total
-        moved = float(np.linalg.norm(total)) / max(1e-12, float(np.linalg.norm(theta)))
-        out.history.append({"round": r, "cohort": seen["k"], "clipped_share": seen["clipped"] / max(1, seen["k"]), "mean_norm": seen["norms"] / max(1, seen["k"]), "moved": moved, "theta": theta.tolist()})
-        if cfg.tol and moved < cfg.tol:
+    out = {name: Result(np.zeros(r.cfg.features + 1) if theta0 is None else theta0.copy()) for name, r in runs.items()}
+    live = dict(runs)
+    for round_ in range(1, max(r.cfg.rounds for r in runs.values()) + 1):
+        live = {n: r for n, r in live.items() if round_ <= r.cfg.rounds}
+        if not live:
             break
-    out.theta = theta
+        groups = None
+        for name, r in live.items():
+            cfg = r.cfg
+            fixed = cfg.denominator == "realised" and cfg.q < 1
+            g = cohort_fixed(everyone[name], max(1, round(cfg.q * cfg.participants)), round_, cfg.seed) if fixed else cohort(everyone[name], cfg.q, round_, cfg.seed)
+            g = g.select(F.lit(name).alias("run"), "participant_id")
+            groups = g if groups is None else groups.unionAll(g)
+        rows = shards(groups).join(packed, "script_id")
+        deltas = updates(rows, live, {n: out[n].theta for n in live}, round_)
+        if any(r.cfg.weights == "rows" for r in live.values()):
+            by_rows = [n for n, r in live.items() if r.cfg.weights == "rows"]
+            deltas = deltas.withColumn("delta", F.when(F.col("run").isin(by_rows), F.transform("delta", lambda v: v * F.col("n"))).otherwise(F.col("delta")))
+        sums = vector_sums(deltas)
+        for name, r in list(live.items()):
+            cfg, at = r.cfg, r.at
+            total, seen = sums.get(name, (np.zeros(cfg.features + 1), dict.fromkeys(("k", "clipped", "norms", "rows"), 0)))
+            below = max(seen["rows"], 1) if cfg.weights == "rows" else (cfg.q * cfg.participants if cfg.denominator == "expected" else max(seen["k"], 1))
+            total = total / below
+            if cfg.z and cfg.placement != "local":
+                sigma = cfg.z * cfg.clip / (cfg.q * cfg.participants)
+                total[at] += sigma * np.array([noise(cfg.seed, "round", round_, c) for c in at])
+            if ledger is not None and cfg.z:
+                ledger.charge(f"{name} round {round_}", cfg.q, cfg.z)
+            out[name].theta = out[name].theta + total
+            moved = float(np.linalg.norm(total)) / max(1e-12, float(np.linalg.norm(out[name].theta)))
+            out[name].history.append({"round": round_, "cohort": seen["k"], "clipped_share": seen["clipped"] / max(1, seen["k"]), "mean_norm": seen["norms"] / max(1, seen["k"]), "moved": moved, "theta": out[name].theta.tolist()})
+            if cfg.tol and moved < cfg.tol:
+                live.pop(name)
     return out
 
 
+def train(everyone: DataFrame, shards: Shards, packed: DataFrame, cfg: TrainConfig, mean: np.ndarray | None = None, scale: np.ndarray | None = None, keep: list[int] | None = None, **how) -> Result:
+    """R rounds of one run. packed: (script_id, y, idx, val) of the training scripts."""
+    return train_many({"run": run_of(cfg, mean, scale, keep)}, {"run": everyone}, shards, packed, **how)["run"]
+
+
+def vector_sum(deltas: DataFrame, size: int) -> tuple[np.ndarray, dict]:
+    """Sum of (delta, norm, clipped, n) rows of one run."""
+    got = vector_sums(deltas.select(F.lit("one").alias("run"), "delta", "norm", "clipped", "n"))
+    return got.get("one", (np.zeros(size), {}))
+
+
 def fedavg(everyone: DataFrame, shards: Shards, packed: DataFrame, cfg: TrainConfig, **how) -> Result:
     """Plain averaging over a fixed cohort: no clip, no noise."""
     return train(everyone, shards, packed, replace(cfg, z=0.0, clip=math.inf, denominator="realised"), **how)

@@ -53,9 +53,9 @@ def draw(people: DataFrame, cdf: DataFrame, urls: int, seed: str = "draw") -> Da
 
     The range join u in [lo, hi) as an equi-join: an interval is listed in each of the cells that it meets.
     """
-    d = people.select("participant_id", F.explode(F.sequence(F.lit(1), F.lit(urls))).alias("i")).withColumn("u", uniform(seed, F.col("participant_id"), F.col("i"))).withColumn("cell", F.floor(F.col("u") * CELLS).cast("int"))
+    d = people.select("*", F.explode(F.sequence(F.lit(1), F.lit(urls))).alias("i")).withColumn("u", uniform(seed, F.col("participant_id"), F.col("i"))).withColumn("cell", F.floor(F.col("u") * CELLS).cast("int"))
     celled = cdf.withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") * CELLS).cast("int"), F.least(F.floor(F.col("hi") * CELLS), F.lit(CELLS - 1)).cast("int"))))
-    return d.join(celled, "cell").where("u >= lo and u < hi").select("participant_id", "domain_id").distinct()
+    return d.join(celled, "cell").where("u >= lo and u < hi").select(*people.columns, "domain_id").distinct()
 
 
 def draw_without(people: DataFrame, cdf: DataFrame, urls: int, seed: str = "gumbel") -> DataFrame:
@@ -80,7 +80,7 @@ def cohort_fixed(everyone: DataFrame, size: int, round_: int, seed: str = "cohor
 
 def shards(drawn: DataFrame, bridge: DataFrame, train: DataFrame) -> DataFrame:
     """(participant_id, script_id): the training scripts on a participant's domains. bridge: (domain_id, script_id)."""
-    return drawn.join(bridge.join(train.select("script_id"), "script_id", "left_semi"), "domain_id").select("participant_id", "script_id").distinct()
+    return drawn.join(bridge.join(train.select("script_id"), "script_id", "left_semi"), "domain_id").select(*[c for c in drawn.columns if c != "domain_id"], "script_id").distinct()
 
 
 def bridge(trace: DataFrame) -> DataFrame:
