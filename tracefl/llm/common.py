@@ -3,7 +3,11 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,6 +36,17 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def written(df: DataFrame) -> DataFrame:
+    """df as a Parquet table below the checkpoint folder: cuts the lineage like checkpoint(), and is smaller on disk."""
+    spark = df.sparkSession
+    context = spark.sparkContext
+    if context._jsc.sc().getCheckpointDir().isEmpty():
+        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="tracefl-checkpoint-"))
+    path = f"{context._jsc.sc().getCheckpointDir().get()}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def split_join(left: DataFrame, right: DataFrame, on: list[str], how: str = "inner") -> DataFrame:
     """Equi-join whose hot keys Spark can split.
 
@@ -85,3 +100,75 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", most_rounds: int =
     else:
         raise RuntimeError("components did not settle")
     return e.select(F.col("v").alias("node"), F.col("u").alias("component")).unionAll(e.select(F.col("u").alias("node"), F.col("u").alias("component")).distinct())
+
+
+def _partners(key: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+    """For rows sorted by (key, doc): each row's partner row (-1: none), whether its document is the key's first, and the start of the last run.
+
+    A run is a key's rows of one document. The partner is the last row of the run before, or for a key's first
+    run the first row of the run after.
+    """
+    n = len(key)
+    change = np.flatnonzero((key[1:] != key[:-1]) | (doc[1:] != doc[:-1])) + 1
+    start = np.concatenate([[0], change])
+    same_before = np.zeros(len(start), bool)
+    same_before[1:] = key[start[1:]] == key[start[1:] - 1]
+    partner = np.where(same_before, start - 1, -1)
+    follows = np.zeros(len(start), bool)
+    follows[:-1] = same_before[1:]
+    after = np.append(start[1:], n)
+    partner = np.where(~same_before & follows, after, partner)
+    length = np.diff(np.append(start, n))
+    return np.repeat(partner, length), np.repeat(~same_before, length), int(start[-1])
+
+
+def neighbours(rows: DataFrame) -> DataFrame:
+    """rows (key long, doc_id, pos int): with `other` and `o_pos`, the neighbour from another document in the order (key, doc_id, pos), and `first`.
+
+    Rows are sorted over range partitions, so a key of any weight spans as many as it needs, and each row is
+    compared with its neighbours only. Rows without a neighbour go. Where a key's rows meet the end of a partition, the
+    few that found none there look at the rows that stand at partitions' ends.
+    """
+    kind = rows.schema["doc_id"].dataType.simpleString()
+    ordered = rows.select("key", "doc_id", "pos").repartitionByRange(buckets(rows.sparkSession), "key", "doc_id", "pos").sortWithinPartitions("key", "doc_id", "pos")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["key", "doc_id", "pos", "other", "o_pos", "first", "edge"]
+        held: list | None = None  # the run that may go on, after the last row before it
+        dealt, first_key, doc_type = 0, None, None  # rows of `held` that have been dealt with
+
+        def out(cols: list, partner: np.ndarray, first: np.ndarray, rows_: np.ndarray, edge: bool) -> pa.RecordBatch:
+            key, doc, pos = cols
+            at = np.maximum(partner[rows_], 0)
+            none = partner[rows_] < 0
+            return pa.RecordBatch.from_arrays([pa.array(key[rows_]), pa.array(doc[rows_], doc_type), pa.array(pos[rows_]), pa.array(doc[at], doc_type, mask=none), pa.array(pos[at], mask=none), pa.array(first[rows_]), pa.array(np.full(len(rows_), edge))], names)
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            doc_type = batch.column(1).type
+            part = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            if held is None:
+                held, first_key = part, part[0][0]
+                yield out(held, np.full(len(part[0]), -1), np.zeros(len(part[0]), bool), np.array([0]), True)
+            else:
+                held = [np.concatenate(x) for x in zip(held, part, strict=True)]
+            partner, first, last = _partners(held[0], held[1])
+            done = np.arange(dealt, last)
+            done = done[(partner[done] >= 0) | (held[0][done] == first_key)]
+            if len(done):
+                yield out(held, partner, first, done, False)
+            keep = max(0, last - 1)
+            held, dealt = [x[keep:] for x in held], last - keep
+        if held is not None:
+            partner, first, _ = _partners(held[0], held[1])
+            done = np.arange(dealt, len(held[0]))
+            yield out(held, partner, first, done, False)
+            yield out(held, np.full(len(held[0]), -1), np.zeros(len(held[0]), bool), np.array([len(held[0]) - 1]), True)
+
+    found = written(ordered.mapInArrow(run, f"key long, doc_id {kind}, pos int, other {kind}, o_pos int, first boolean, edge boolean"))
+    ends = found.where("edge").select("key", F.col("doc_id").alias("e_doc"), F.col("pos").alias("e_pos")).distinct()  # two rows a partition
+    alone = found.where("not edge and other is null").select("key", "doc_id", "pos")
+    late = alone.join(F.broadcast(ends), "key").where("doc_id != e_doc").groupBy("key", "doc_id", "pos").agg(F.min(F.struct("e_doc", "e_pos")).alias("o"))
+    late = late.select("key", "doc_id", "pos", F.col("o.e_doc").alias("other"), F.col("o.e_pos").alias("o_pos"), (F.col("o.e_doc") > F.col("doc_id")).alias("first"))
+    return found.where("not edge and other is not null").select("key", "doc_id", "pos", "other", "o_pos", "first").unionAll(late)

@@ -2,15 +2,15 @@
 
 Of each text only the suffixes at content-selected positions are kept: minimisers of its word ``k``-grams, chosen
 so that any run of ``least`` words has one among its first ``slack`` words. Two texts that share such a run
-keep suffixes there that agree in their next ``least - slack`` words. Suffixes are first grouped by the hash of those words
-(partial sums); the few whose group spans two documents get their neighbouring words as context, are sorted by
-(these words, the words after them, document, position) over range partitions, which a group of any size may
-span, and each is compared with its neighbour from another document; at a partition's start with the
-group's first suffix instead. A match is then extended left and right word by word. A neighbour shares the longest
-continuation, so every suffix meets the partner that agrees with it longest, at linear cost.
+keep suffixes there that agree in their next ``least - slack`` words. The kept suffixes are sorted by (those words' hash,
+document, position) over range partitions, which equal suffixes in any number may span, and each is compared with its
+neighbour from another document. Neighbours' matches on one diagonal are merged to segments.
 
-An extension needs ``slack`` words each way at most: what lies beyond belongs to another kept suffix of the same run,
-and the spans are merged. Positions count words from 0.
+Segments are then extended left and right. The suffixes at a segment's ends (and all of a segment that is still shorter than
+``least``) are extended together with all equal suffixes of other documents: the windows of ``least`` words that begin up to
+``slack`` words before them are sorted and compared in the same way. A window that another document has is itself a
+proof, and what lies further out belongs to another kept suffix; so the result is exact for every repeat of ``least`` words
+or more, whichever documents were neighbours, at a cost in proportion to the text. Positions count words from 0.
 
 Defined results: null, empty and short texts have no passages; repeats within one document don't count;
 rows that share a key count as one document; null keys are not compared; an empty table gives an empty table.
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import buckets, cut_lineage, split_join
+from .common import neighbours, split_join, written
 from .words import Block, blocks, grams, minimisers, prefix_sums, span_hashes
 
 LEAST, SLACK, K = 50, 20, 8
@@ -38,7 +38,7 @@ def suffix_positions(b: Block, k: int, slack: int) -> np.ndarray:
 
 
 def _suffixes(docs: DataFrame, text: str, key: str, least: int, slack: int, k: int) -> DataFrame:
-    """(doc_id, pos, s): the kept suffixes that go on for least - slack words, and the hash of those."""
+    """(key, doc_id, pos): the kept suffixes that go on for least - slack words, and the hash of those."""
     m = least - slack
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -48,125 +48,85 @@ def _suffixes(docs: DataFrame, text: str, key: str, least: int, slack: int, k: i
                 at = at[at + m <= b.first[b.doc[at] + 1]] if len(at) else at
                 s = span_hashes(prefix_sums(b.hash), at, at + m)
                 doc = b.doc[at]
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(b.row0 + doc)), pa.array((at - b.first[doc]).astype(np.int32)), pa.array(s.view(np.int64))], ["doc_id", "pos", "s"])
+                yield pa.RecordBatch.from_arrays([pa.array(s.view(np.int64)), batch.column(0).take(pa.array(b.row0 + doc)), pa.array((at - b.first[doc]).astype(np.int32))], ["key", "doc_id", "pos"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.where(F.col(key).isNotNull()).select(F.col(key), F.col(text)).mapInArrow(run, f"doc_id {kind}, pos int, s long")
+    return docs.where(F.col(key).isNotNull()).select(F.col(key), F.col(text)).mapInArrow(run, f"key long, doc_id {kind}, pos int")
 
 
-def _with_context(docs: DataFrame, marked: DataFrame, text: str, key: str, least: int, slack: int) -> DataFrame:
-    """marked (doc_id, pos, s, r_doc, r_pos) with the hashes of the words on the left (nearest first), on the right, and of the run after."""
-    m = least - slack
+def _segments(met: DataFrame, kind: str, m: int, least: int) -> DataFrame:
+    """(doc_id, a, b, other, o_a, first, keys): a document's neighbours' matches, merged where they overlap on one diagonal with one document.
+
+    keys are of the suffixes to extend: the ends, or all of a segment shorter than `least`.
+    """
+
+    def merge(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        pos, o_pos, suffix = table["pos"].to_numpy(), table["o_pos"].to_numpy(), table["key"].to_numpy()
+        other = table["other"].combine_chunks().dictionary_encode()
+        code, first = other.indices.to_numpy(), table["first"].to_numpy()
+        order = np.lexsort((pos, pos - o_pos, code))
+        pos, o_pos, code, first, suffix = pos[order], o_pos[order], code[order], first[order], suffix[order]
+        new = np.ones(len(pos), bool)
+        new[1:] = (code[1:] != code[:-1]) | (pos[1:] - o_pos[1:] != pos[:-1] - o_pos[:-1]) | (pos[1:] > pos[:-1] + m)
+        start = np.flatnonzero(new)
+        stop = np.append(start[1:], len(pos)) - 1
+        keys = [suffix[i : j + 1].tolist() if pos[j] + m - pos[i] < least else [int(suffix[i]), int(suffix[j])] for i, j in zip(start, stop, strict=True)]
+        return pa.table({"doc_id": pa.array([key[0].as_py()] * len(start), table["doc_id"].type), "a": pa.array(pos[start], pa.int32()), "b": pa.array(pos[stop] + m, pa.int32()), "other": other.dictionary.take(pa.array(code[start])), "o_a": pa.array(o_pos[start], pa.int32()), "first": pa.array(np.logical_and.reduceat(first, start)), "keys": pa.array(keys, pa.list_(pa.int64()))})
+
+    return met.select("doc_id", "pos", "other", "o_pos", "first", "key").groupBy("doc_id").applyInArrow(merge, f"doc_id {kind}, a int, b int, other {kind}, o_a int, first boolean, keys array<long>")
+
+
+def _windows(docs: DataFrame, suffixes: DataFrame, text: str, key: str, least: int, slack: int) -> DataFrame:
+    """(key, doc_id, pos): hashes of the windows of `least` words that begin at most `slack` words before the suffixes (doc_id, pos)."""
     kind = docs.schema[key].dataType.simpleString()
-    # a list is bounded by its document's length
-    wanted = marked.groupBy("doc_id").agg(F.collect_list(F.struct("pos", "s", "r_doc", "r_pos")).alias("marks")).withColumnRenamed("doc_id", "_id")
-    texts = split_join(docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")), wanted, ["_id"])
+    lists = suffixes.groupBy(F.col("doc_id").alias("_id")).agg(F.collect_list("pos").alias("marks"))  # bounded by the document's length
+    texts = split_join(docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")), lists, ["_id"]).select("_id", "_text", "marks")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             marks = batch.column(2)
-            n_marks = np.diff(np.asarray(marks.offsets))
-            flat = marks.flatten()
-            first_mark = np.concatenate([[0], np.cumsum(n_marks)])
+            at, flat = np.asarray(marks.offsets), marks.flatten().to_numpy()
+            at = at - at[0]
             for b in blocks(batch.column(1)):
-                lo, hi = first_mark[b.row0], first_mark[b.row0 + b.n]
-                part = flat.slice(lo, hi - lo)
-                doc = np.repeat(np.arange(b.n), n_marks[b.row0 : b.row0 + b.n])
-                at = part.field("pos").to_numpy(zero_copy_only=False) + b.first[doc]
-                begin, end = b.first[doc], b.first[doc + 1]
-                ok = at + m <= end  # a key that stands for several rows has marks of all of them
-                part, doc, at, begin, end = part.filter(pa.array(ok)), doc[ok], at[ok], begin[ok], end[ok]
-                low = (b.hash & np.uint64(0xFFFFFFFF)).astype("<u4")
-                left = [low[max(x, p - slack) : p][::-1].tobytes() for p, x in zip(at, begin, strict=True)]
-                right = [low[p + m : min(y, p + m + slack)].tobytes() for p, y in zip(at, end, strict=True)]
-                after = span_hashes(prefix_sums(b.hash), at + m, np.minimum(end, at + m + slack)).view(np.int64)
-                same = span_hashes(prefix_sums(b.hash), at, at + m).view(np.int64) == part.field("s").to_numpy(zero_copy_only=False)
-                out = pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(b.row0 + doc)), *[part.field(c) for c in ("pos", "s", "r_doc", "r_pos")], pa.array(left, pa.binary()), pa.array(right, pa.binary()), pa.array(after)], ["doc_id", "pos", "s", "r_doc", "r_pos", "left", "right", "after"])
-                yield out.filter(pa.array(same))
-
-    return texts.mapInArrow(run, f"doc_id {kind}, pos int, s long, r_doc {kind}, r_pos int, left binary, right binary, after long")
-
-
-def _common(a: bytes, b: bytes) -> int:
-    """Equal words at the start of two runs of 32-bit word hashes."""
-    if a == b:
-        return len(a) // 4
-    n = min(len(a), len(b)) // 4
-    x, y = np.frombuffer(a, "<u4", n), np.frombuffer(b, "<u4", n)
-    differ = np.flatnonzero(x != y)
-    return int(differ[0]) if len(differ) else n
-
-
-def _neighbours(sorted_rows: DataFrame, kind: str, m: int) -> DataFrame:
-    """(doc_id, pos, s, other, o_pos, left, right): each suffix with its neighbour from another document; other is null where the partition has none."""
+                n_marks = np.diff(at[b.row0 : b.row0 + b.n + 1])
+                doc = np.repeat(np.arange(b.n), n_marks)
+                mark = flat[at[b.row0] : at[b.row0 + b.n]] + b.first[doc]
+                step = np.zeros(len(b.hash) + 2, np.int64)
+                np.add.at(step, np.minimum(np.maximum(b.first[doc], mark - slack), len(b.hash)), 1)
+                np.add.at(step, np.minimum(mark + 1, len(b.hash) + 1), -1)
+                start = np.flatnonzero(np.cumsum(step)[: len(b.hash)] > 0)
+                start = start[start + least <= b.first[b.doc[start] + 1]]
+                own = b.doc[start]
+                yield pa.RecordBatch.from_arrays([pa.array(span_hashes(prefix_sums(b.hash), start, start + least).view(np.int64)), batch.column(0).take(pa.array(b.row0 + own)), pa.array((start - b.first[own]).astype(np.int32))], ["key", "doc_id", "pos"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        group, same_doc, other = None, None, None  # the last row of the group's last document, and the last of the document before
-        for batch in batches:
-            out = []
-            for doc, pos, s, r_doc, r_pos, left, right in zip(*[batch.column(i).to_pylist() for i in range(7)], strict=True):
-                row = (doc, pos, left, right)
-                if s != group:
-                    group, same_doc, other = s, row, None
-                else:
-                    if doc != same_doc[0]:
-                        other = same_doc
-                    same_doc = row
-                if other is not None:
-                    out.append((doc, pos, s, other[0], other[1], _common(left, other[2]), _common(right, other[3]), r_doc == doc and r_pos == pos))
-                else:
-                    out.append((doc, pos, s, None, None, 0, 0, r_doc == doc and r_pos == pos))
-            names = ["doc_id", "pos", "s", "other", "o_pos", "left", "right", "first"]
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate((batch.column(0).type, pa.int32(), pa.int64(), batch.column(0).type, pa.int32(), pa.int32(), pa.int32(), pa.bool_()))], names)
-
-    return sorted_rows.mapInArrow(run, f"doc_id {kind}, pos int, s long, other {kind}, o_pos int, left int, right int, first boolean")
+    return texts.mapInArrow(run, f"key long, doc_id {kind}, pos int")
 
 
 def passages(docs: DataFrame, least: int = LEAST, slack: int = SLACK, k: int = K, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """One row for each maximal span of a document made of passages of at least `least` words that another document has too:
-    doc_id, start_word, end_word, other_id (a document that has its first match), other_start, first (it holds the passages' first occurrences)."""
+    """One row for each maximal span of a document that is made of passages of at least `least` words that another document has too:
+    doc_id, start_word, end_word, other_id (a document that has its beginning), other_start, first (no lesser key has any of it)."""
     if least - slack < k or slack < k:
         raise ValueError("slack must lie between k and least - k")
-    spark, kind, m = docs.sparkSession, docs.schema[key].dataType.simpleString(), least - slack
-    suffixes = _suffixes(docs, text, key, least, slack, k)
-    groups = suffixes.groupBy("s").agg(F.min(F.struct("doc_id", "pos")).alias("r"), F.max("doc_id").alias("top")).where("r.doc_id < top").select("s", F.col("r.doc_id").alias("r_doc"), F.col("r.pos").alias("r_pos"))
-    marked = split_join(suffixes, groups, ["s"])
-    rows = cut_lineage(_with_context(docs, marked, text, key, least, slack).distinct())
-    ordered = rows.repartitionByRange(buckets(spark), "s", "after", "doc_id", "pos").sortWithinPartitions("s", "after", "doc_id", "pos")
-    met = cut_lineage(_neighbours(ordered.select("doc_id", "pos", "s", "r_doc", "r_pos", "left", "right"), kind, m))
-    # what stands first in a partition or among its document's own meets a suffix of the group by its ends instead
-    alone = met.where("other is null").select("doc_id", "pos", "s")
-    ends = rows.groupBy("s").agg(F.min(F.struct("doc_id", "pos", "left", "right")).alias("lo"), F.max(F.struct("doc_id", "pos", "left", "right")).alias("hi"))
-    late = split_join(alone.join(rows.select("doc_id", "pos", "s", "left", "right"), ["doc_id", "pos", "s"]), ends, ["s"])
-    late = late.withColumn("o", F.when(F.col("lo.doc_id") == F.col("doc_id"), F.col("hi")).otherwise(F.col("lo"))).where("o.doc_id != doc_id")
-
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for x in batches:
-            sides = [x.column(i).to_pylist() for i in range(5, 9)]
-            l, r = [_common(a, b) for a, b in zip(sides[0], sides[2], strict=True)], [_common(a, b) for a, b in zip(sides[1], sides[3], strict=True)]
-            yield pa.RecordBatch.from_arrays([*x.columns[:5], pa.array(l, pa.int32()), pa.array(r, pa.int32()), x.column(9)], ["doc_id", "pos", "s", "other", "o_pos", "left", "right", "first"])
-
-    late = late.select("doc_id", "pos", "s", F.col("o.doc_id").alias("other"), F.col("o.pos").alias("o_pos"), "left", "right", F.col("o.left").alias("ol"), F.col("o.right").alias("or"), ((F.col("lo.doc_id") == F.col("doc_id")) & (F.col("lo.pos") == F.col("pos"))).alias("first"))
-    late = late.mapInArrow(compare, f"doc_id {kind}, pos int, s long, other {kind}, o_pos int, left int, right int, first boolean")
-    matches = met.where("other is not null").unionByName(late)
-    matches = matches.where(F.col("left") + m + F.col("right") >= least)
-    one = matches.select("doc_id", (F.col("pos") - F.col("left")).alias("a"), (F.col("pos") + m + F.col("right")).alias("b"), "other", (F.col("o_pos") - F.col("left")).alias("o_a"), "first")
-    two = matches.select(F.col("other").alias("doc_id"), (F.col("o_pos") - F.col("left")).alias("a"), (F.col("o_pos") + m + F.col("right")).alias("b"), F.col("doc_id").alias("other"), (F.col("pos") - F.col("left")).alias("o_a"), F.lit(None).cast("boolean").alias("first"))
+    kind, m = docs.schema[key].dataType.simpleString(), least - slack
+    met = neighbours(_suffixes(docs, text, key, least, slack, k))
+    segments = written(_segments(met, kind, m, least))
+    extend = split_join(met.select("key", "doc_id", "pos"), segments.select(F.explode("keys").alias("key")).distinct(), ["key"])
+    ends = neighbours(_windows(docs, extend, text, key, least, slack))
+    long = segments.where(F.col("b") - F.col("a") >= least).select("doc_id", "a", "b", "other", "o_a", "first")
+    spans = long.unionByName(ends.select("doc_id", F.col("pos").alias("a"), (F.col("pos") + least).alias("b"), "other", F.col("o_pos").alias("o_a"), "first"))
 
     def merge(key_: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         out: list[list] = []
         for a, b, other, o_a, first in sorted(zip(*[table[c].to_pylist() for c in ("a", "b", "other", "o_a", "first")], strict=True), key=lambda r: (r[0], -r[1], r[2])):
             if out and a <= out[-1][1]:
                 out[-1][1] = max(out[-1][1], b)
-                out[-1][4] = out[-1][4] and first is not False
+                out[-1][4] = out[-1][4] and first
             else:
-                out.append([a, b, other, o_a, first is not False])
+                out.append([a, b, other, o_a, first])
         cols = list(zip(*out, strict=True))
         return pa.table({"doc_id": pa.array([key_[0].as_py()] * len(out), table["doc_id"].type), "start_word": pa.array(cols[0], pa.int32()), "end_word": pa.array(cols[1], pa.int32()), "other_id": pa.array(cols[2], table["other"].type), "other_start": pa.array(cols[3], pa.int32()), "first": pa.array(cols[4], pa.bool_())})
 
-    both = one.unionByName(two)
-    return both.select("doc_id", "a", "b", "other", "o_a", "first").groupBy("doc_id").applyInArrow(merge, f"doc_id {kind}, start_word int, end_word int, other_id {kind}, other_start int, first boolean")
+    return spans.groupBy("doc_id").applyInArrow(merge, f"doc_id {kind}, start_word int, end_word int, other_id {kind}, other_start int, first boolean")
 
 
 def cut(docs: DataFrame, spans: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
