@@ -1,9 +1,9 @@
 """Byte-level BPE encoding and decoding by a global distinct-word shuffle.
 
-Texts are dealt to buckets by a hash. Each bucket's pre-tokens are exploded to its distinct words; those go, one row for
-each (bucket, word), to the word's place, where each distinct word is encoded once; the ids go back to
+Texts are dealt to buckets by a hash. Each bucket's pre-tokens are exploded to its distinct words; those go, packed
+by (bucket, place), to the word's place, where each distinct word is encoded once; the ids go back, in the same order, to
 the buckets that asked, and a bucket's texts are put together again from them by position. A frequent word so
-costs one row for each bucket, never one for each occurrence, and the vocabulary of a corpus is never
+costs one entry for each bucket, never one for each occurrence, and the vocabulary of a corpus is never
 broadcast. The texts move once (the exchange is used twice) and positions never leave their bucket.
 Decoding joins the ids with the token-byte table, which has as many rows as the tokenizer (fixed, about
 50,000), at each executor.
@@ -19,11 +19,13 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from collections.abc import Iterator
+import zlib
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import regex
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -97,6 +99,26 @@ def _encode_long(parts: list[bytes], table: dict[bytes, int]) -> list[int]:
     return [table[p] for p, live in zip(parts, alive, strict=True) if live]
 
 
+def _placed(words: Iterable[str], n: int) -> dict[int, list[str]]:
+    """The words by their place (a hash of the word), sorted: the same for the same words in every run."""
+    out: dict[int, list[str]] = {}
+    for w in sorted(words):
+        out.setdefault(zlib.crc32(w.encode()) % n, []).append(w)
+    return out
+
+
+def _pack(parts: list[bytes]) -> bytes:
+    lengths = np.array([len(p) for p in parts], "<u4").tobytes()
+    return len(parts).to_bytes(4, "little") + zstandard.ZstdCompressor(level=3).compress(lengths + b"".join(parts))
+
+
+def _unpack(blob: bytes) -> list[bytes]:
+    data = zstandard.ZstdDecompressor().decompress(blob[4:])
+    n = int.from_bytes(blob[:4], "little")
+    end = np.cumsum(np.frombuffer(data, "<u4", n)) + 4 * n
+    return [data[a:b] for a, b in zip([4 * n, *end[:-1].tolist()], end.tolist(), strict=True)] if n else []
+
+
 def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), digest: bool = False, n_buckets: int | None = None) -> DataFrame:
     """keep's columns with n_tokens, ids (little-endian unsigned 32-bit) and decoded (bytes); with digest, SHA-256 of the two instead."""
     n = n_buckets or buckets(docs.sparkSession)
@@ -112,36 +134,42 @@ def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: t
             for t, b in zip(batch.column(at), batch.column(at + 1).to_pylist(), strict=True):
                 seen.setdefault(b, set()).update(find(t.as_py()))
         for b, words in seen.items():
-            rows = list(words)
-            for i in range(0, len(rows), 50_000):
-                part = rows[i : i + 50_000]
-                yield pa.RecordBatch.from_arrays([pa.array([b] * len(part), pa.int32()), pa.array([w.encode() for w in part], pa.binary())], ["bucket", "word"])
+            for place, own in _placed(words, n).items():
+                yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([place], pa.int32()), pa.array([_pack([w.encode() for w in own])], pa.binary())], ["bucket", "place", "words"])
 
     def encode_once(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, done = ranks(path), {}
         for batch in batches:
             out = []
-            for w in batch.column(1).to_pylist():
-                ids = done.get(w)
-                if ids is None:
-                    if len(done) > 500_000:  # words come in no order; a full memory starts anew
-                        done.clear()
-                    ids = done[w] = np.array(encode_word(w, table), "<u4").tobytes()
-                out.append(ids)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], ["bucket", "word", "ids"])
+            for words in batch.column(2):
+                ids = []
+                for w in _unpack(words.as_py()):
+                    got = done.get(w)
+                    if got is None:
+                        if len(done) > 500_000:  # a full memory starts anew
+                            done.clear()
+                        got = done[w] = np.array(encode_word(w, table), "<u4").tobytes()
+                    ids.append(got)
+                out.append(_pack(ids))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], ["bucket", "place", "ids"])
 
     # all columns of `placed`, so that both of its uses share one exchange
-    asked = placed.mapInArrow(distinct_words, "bucket int, word binary")
-    known = asked.repartition(n, "word").mapInArrow(encode_once, "bucket int, word binary, ids binary")
+    asked = placed.mapInArrow(distinct_words, "bucket int, place int, words binary")
+    known = asked.repartition(n, "place").mapInArrow(encode_once, "bucket int, place int, ids binary")
 
     names = [*kept, "n_tokens", *(("ids_sha256", "decoded_sha256") if digest else ("ids", "decoded"))]
 
     def reassemble(key: tuple[pa.Scalar, ...], texts: pa.Table, words: pa.Table) -> pa.Table:
-        find, table = regex.compile(pattern).findall, token_bytes(path)
-        ids_of = dict(zip((w.decode() for w in words["word"].to_pylist()), words["ids"].to_pylist(), strict=True))
+        find, table, same = regex.compile(pattern).findall, token_bytes(path), {}
+        one = same.setdefault
+        positions = [[one(w, w) for w in find(t.as_py())] for t in texts["_text"]]  # a word is held once
+        ids_of: dict[str, bytes] = {}
+        blobs = dict(zip(words["place"].to_pylist(), words["ids"], strict=True))
+        for place, own in _placed(same, n).items():  # in the order in which they were asked for
+            ids_of.update(zip(own, _unpack(blobs[place].as_py()), strict=True))
         n_tokens, left, right = [], [], []
-        for t in texts["_text"]:
-            ids = b"".join(map(ids_of.__getitem__, find(t.as_py())))
+        for p in positions:
+            ids = b"".join(map(ids_of.__getitem__, p))
             decoded = b"".join(map(table.__getitem__, np.frombuffer(ids, "<u4").tolist()))
             n_tokens.append(len(ids) // 4)
             left.append(hashlib.sha256(ids).hexdigest() if digest else ids)
