@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 Query = Callable[[SparkSession, str], DataFrame]
 
 FLAGSHIP = "flagship_private_detector"
-MODULES: tuple[str, ...] = ("plans.core", "plans.learning")
+MODULES: tuple[str, ...] = ("plans.core", "plans.learning", "operators.relational")
 _queries: dict[str, Query] = {}
 _oracles: dict[str, str] = {}
 
