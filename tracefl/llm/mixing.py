@@ -26,7 +26,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, cut_lineage, hash32, split_join
+from .common import WORD, hash32, split_join, written
 
 SUPER = 64
 ADDED = ("size", "source_size", "target", "taken", "pass_no", "block", "shard", "shard_order")
@@ -58,10 +58,10 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = (3, 1, 2), budget: tupl
 
 def _narrow(docs: DataFrame, seed: int, text: str, source: str, key: str) -> DataFrame:
     rows = docs.select(F.col(key).alias("doc_id"), F.col(source).alias("source"), word_count(F.col(text)).alias("size"))
-    # rows with one key, source and size share their fate, so later joins by these columns are exact; and as every
-    # branch of the plan starts from this exchange, the texts are read once
+    # rows with one key, source and size share their fate, so later joins by these columns are exact; written once
+    # (some 20 bytes a row), so that the texts are read once
     rows = rows.groupBy("doc_id", "source", "size").agg(F.count("*").alias("m"))
-    return rows.withColumn("h", hash32(seed, "row", F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))))
+    return written(rows.withColumn("h", hash32(seed, "row", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))))
 
 
 def _decide(rows: DataFrame, seed: int, block_words: int, **shares) -> DataFrame:
@@ -71,6 +71,7 @@ def _decide(rows: DataFrame, seed: int, block_words: int, **shares) -> DataFrame
     bits = F.greatest(F.lit(0), F.least(F.lit(31), F.ceil(F.log2(F.greatest(F.lit(1.0), F.col("source_size") / F.lit(float(block_words)))))))
     goal = goal.select("*", bits.cast("int").alias("bits"), F.least(F.col("target") / F.greatest(F.col("source_size"), F.lit(1)), F.lit(1e6)).alias("passes"))
     goal = goal.select("*", F.floor("passes").cast("long").alias("full")).withColumn("rest", F.col("target") - F.col("full") * F.col("source_size"))
+    goal = written(goal.select("source", "source_size", "target", "bits", "full", "rest"))  # a row for each source; several branches use it
     # each row of `goal` stands for a source; the rows of a hot source are dealt by their block
     placed = split_join(rows, goal, ["source"]).withColumn("block", F.expr("shiftright(h, 32 - bits)"))
     placed = placed.withColumn("sb", F.pmod(hash32(seed, "super", F.col("block")), F.lit(SUPER)).cast("int"))
@@ -84,6 +85,7 @@ def _decide(rows: DataFrame, seed: int, block_words: int, **shares) -> DataFrame
     blocks = split_join(sums.withColumn("o", order), supers.drop("sb_words"), ["source", "sb"])
     blocks = blocks.withColumn("before", F.col("sb_before") + F.coalesce(F.sum("words").over(w_block), F.lit(0)))
     blocks = blocks.select("source", "block", "before", (F.col("before") + F.col("words") <= F.col("rest")).alias("whole"), ((F.col("before") < F.col("rest")) & (F.col("before") + F.col("words") > F.col("rest"))).alias("border"))
+    blocks = written(blocks)  # a row for each block
     drawn = split_join(placed, blocks, ["source", "block"])
     # rows of the blocks at the border, one block a source at most: taken while that brings the sum nearer to the target
     w_row = Window.partitionBy("source", "block").orderBy("h", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
@@ -128,10 +130,10 @@ def _splits(quota: DataFrame, levels: int, seed: int) -> DataFrame:
 
 def deal(docs: DataFrame, levels: int = 3, seed: int = 17, block_words: int = 1 << 15, text: str = "text", source: str = "source", key: str = "doc_id", **shares) -> tuple[DataFrame, DataFrame]:
     """(decisions for each distinct (doc_id, source, size); its drawn copies with pass_no, block and shard)."""
-    chosen = cut_lineage(_decide(_narrow(docs, seed, text, source, key), seed, block_words, **shares))
+    chosen = written(_decide(_narrow(docs, seed, text, source, key), seed, block_words, **shares))
     copies = chosen.withColumn("pass_no", F.explode(F.when(F.col("full") + F.col("extra") > 0, F.sequence(F.lit(1).cast("long"), F.col("full") + F.col("extra"))).otherwise(F.array().cast("array<bigint>"))))
     name = F.coalesce(F.col("source"), F.lit("\x00null"))
-    balls = copies.groupBy("source", "pass_no", "block").agg(F.lit(1).alias("one")).withColumn("colour", name)
+    balls = written(copies.groupBy("source", "pass_no", "block").agg(F.lit(1).alias("one")).drop("one")).withColumn("colour", name)
     # a ball's place among its colour's: within a hash range first, so that no window holds a whole source
     balls = balls.withColumn("r", hash32(seed, "deal", name, F.col("pass_no"), F.col("block"))).withColumn("sb", (F.col("r") % SUPER).cast("int"))
     counts = balls.groupBy("colour", "sb").agg(F.count("*").alias("n"))
