@@ -20,7 +20,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import zlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from .common import buckets
 
+_NONE = 1 << 60
 _loaded: dict[str, dict[bytes, int]] = {}
 
 
@@ -58,11 +59,15 @@ def encode_word(word: bytes, table: dict[bytes, int]) -> list[int]:
     parts = [word[i : i + 1] for i in range(len(word))]
     if len(parts) > 400:
         return _encode_long(parts, table)
-    while len(parts) > 1:
-        best, at = min(((table.get(parts[i] + parts[i + 1], 1 << 60), i) for i in range(len(parts) - 1)), default=(1 << 60, 0))
-        if best == 1 << 60:
-            break
-        parts[at : at + 2] = [parts[at] + parts[at + 1]]
+    rank = [table.get(word[i : i + 2], _NONE) for i in range(len(word) - 1)]
+    while rank and (best := min(rank)) != _NONE:
+        i = rank.index(best)
+        parts[i : i + 2] = [parts[i] + parts[i + 1]]
+        del rank[i]
+        if i < len(rank):
+            rank[i] = table.get(parts[i] + parts[i + 1], _NONE)
+        if i:
+            rank[i - 1] = table.get(parts[i - 1] + parts[i], _NONE)
     return [table[p] for p in parts]
 
 
@@ -99,6 +104,31 @@ def _encode_long(parts: list[bytes], table: dict[bytes, int]) -> list[int]:
     return [table[p] for p, live in zip(parts, alive, strict=True) if live]
 
 
+def _chunks(text: str) -> list[str] | None:
+    """The text cut before each space, or None where a space is followed by white space or ends the text.
+
+    With patterns that let a word begin with one space, no match crosses a space that stands before other than white space, and
+    what comes before it matches as at an end. So equal chunks have equal pre-tokens wherever they stand.
+    """
+    parts = text.split(" ")
+    rest = parts[1:]
+    if any(not c or c[0].isspace() for c in set(rest)):
+        return None
+    return parts
+
+
+def _tokens(chunks: Iterable[str], find: Callable[[str], list[str]]) -> dict[str, list[str]]:
+    """Pre-tokens of each distinct chunk (with the space before it), all found in one text: those that begin with a space begin a chunk."""
+    own = list(chunks)
+    if not own:
+        return {}
+    found = find(" " + " ".join(own))
+    begin = [i for i, t in enumerate(found) if t[0] == " "]
+    if len(begin) != len(own):
+        return {c: find(" " + c) for c in own}
+    return {c: found[a:b] for c, a, b in zip(own, begin, [*begin[1:], len(found)], strict=True)}
+
+
 def _placed(words: Iterable[str], n: int) -> dict[int, list[str]]:
     """The words by their place (a hash of the word), sorted: the same for the same words in every run."""
     out: dict[int, list[str]] = {}
@@ -119,8 +149,11 @@ def _unpack(blob: bytes) -> list[bytes]:
     return [data[a:b] for a, b in zip([4 * n, *end[:-1].tolist()], end.tolist(), strict=True)] if n else []
 
 
-def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), digest: bool = False, n_buckets: int | None = None) -> DataFrame:
-    """keep's columns with n_tokens, ids (little-endian unsigned 32-bit) and decoded (bytes); with digest, SHA-256 of the two instead."""
+def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), digest: bool = False, n_buckets: int | None = None, by_chunk: bool = True) -> DataFrame:
+    """keep's columns with n_tokens, ids (little-endian unsigned 32-bit) and decoded (bytes); with digest, SHA-256 of the two instead.
+
+    by_chunk: find pre-tokens once for each distinct chunk between spaces; for patterns that let words begin with a space (see _chunks).
+    """
     n = n_buckets or buckets(docs.sparkSession)
     kept = [c for c in keep if c not in ("n_tokens", "ids", "decoded", "ids_sha256", "decoded_sha256", "_bucket", "_text")]
     placed = docs.select(*[F.col(f"`{c}`") for c in kept], F.coalesce(F.col(text), F.lit("")).alias("_text"))
@@ -129,11 +162,15 @@ def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: t
 
     def distinct_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         find = regex.compile(pattern).findall
-        seen: dict[int, set[str]] = {}
+        seen: dict[int, tuple[set[str], set[str]]] = {}
         for batch in batches:
             for t, b in zip(batch.column(at), batch.column(at + 1).to_pylist(), strict=True):
-                seen.setdefault(b, set()).update(find(t.as_py()))
-        for b, words in seen.items():
+                words, chunks = seen.setdefault(b, (set(), set()))
+                parts = _chunks(t.as_py()) if by_chunk else None
+                words.update(find(t.as_py() if parts is None else parts[0]))
+                chunks.update(parts[1:] if parts else ())
+        for b, (words, chunks) in seen.items():
+            words.update(*_tokens(chunks, find).values())
             for place, own in _placed(words, n).items():
                 yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([place], pa.int32()), pa.array([_pack([w.encode() for w in own])], pa.binary())], ["bucket", "place", "words"])
 
@@ -160,16 +197,27 @@ def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: t
     names = [*kept, "n_tokens", *(("ids_sha256", "decoded_sha256") if digest else ("ids", "decoded"))]
 
     def reassemble(key: tuple[pa.Scalar, ...], texts: pa.Table, words: pa.Table) -> pa.Table:
-        find, table, same = regex.compile(pattern).findall, token_bytes(path), {}
-        one = same.setdefault
-        positions = [[one(w, w) for w in find(t.as_py())] for t in texts["_text"]]  # a word is held once
+        find, table = regex.compile(pattern).findall, token_bytes(path)
+        words_: set[str] = set()
+        chunks: set[str] = set()
+        cut = []
+        for t in texts["_text"]:
+            parts = _chunks(t.as_py()) if by_chunk else None
+            own = [find(t.as_py())] if parts is None else [find(parts[0])]
+            words_.update(own[0])
+            chunks.update(parts[1:] if parts else ())
+            cut.append((own[0], parts))
+        tokens = _tokens(chunks, find)
+        words_.update(*tokens.values())
         ids_of: dict[str, bytes] = {}
         blobs = dict(zip(words["place"].to_pylist(), words["ids"], strict=True))
-        for place, own in _placed(same, n).items():  # in the order in which they were asked for
+        for place, own in _placed(words_, n).items():  # in the order in which they were asked for
             ids_of.update(zip(own, _unpack(blobs[place].as_py()), strict=True))
+        join = lambda ws: b"".join(map(ids_of.__getitem__, ws))
+        ids_of_chunk = {c: join(ws) for c, ws in tokens.items()}
         n_tokens, left, right = [], [], []
-        for p in positions:
-            ids = b"".join(map(ids_of.__getitem__, p))
+        for first, parts in cut:
+            ids = join(first) + (b"".join(map(ids_of_chunk.__getitem__, parts[1:])) if parts else b"")
             decoded = b"".join(map(table.__getitem__, np.frombuffer(ids, "<u4").tolist()))
             n_tokens.append(len(ids) // 4)
             left.append(hashlib.sha256(ids).hexdigest() if digest else ids)
