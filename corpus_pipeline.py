@@ -15,7 +15,7 @@ from tracefl.llm.queries import incoming, quality_model, tokenizer
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose score is 0.3 or more; fitted on the labelled rows of docs."""
     model = quality_model(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return compression.score(docs, model).where("score >= 0.3").drop("score")
+    return compression.score(docs, model, into="__score").where("__score >= 0.3").select(*[f"`{c}`" for c in docs.columns])
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,7 +28,7 @@ def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A document that the mix takes twice has two rows."""
-    return mixing.mix(docs).select(*docs.columns)
+    return mixing.mix(docs, prefix="__mix_").select(*[f"`{c}`" for c in docs.columns])
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

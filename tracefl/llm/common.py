@@ -77,26 +77,24 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", most_rounds: int =
     Alternates links from each node's larger neighbours to its least one, and from a
     node to the least of its smaller ones, until every edge is a star. Each round is two
     groupings with partial aggregation and two joins that Spark can split; nothing comes
-    to the driver but one sum. Rounds grow with the logarithm of the size.
+    to the driver but a count and a hash. Rounds grow with the logarithm of the size.
     """
-    spark = edges.sparkSession
-    e = edges.select(F.greatest(a, b).alias("v"), F.least(a, b).alias("u")).where("u < v").distinct()
-    e = cut_lineage(e)
+    e = written(edges.select(F.greatest(a, b).alias("v"), F.least(a, b).alias("u")).where("u < v").distinct())
+    state = None
     for _ in range(most_rounds):
-        both = e.select(F.col("v").alias("n"), F.col("u").alias("m")).unionAll(e.select(F.col("u").alias("n"), F.col("v").alias("m")))
+        both = e.select(F.explode(F.array(F.struct(F.col("v").alias("n"), F.col("u").alias("m")), F.struct(F.col("u").alias("n"), F.col("v").alias("m")))).alias("x")).select("x.*")
         low = both.groupBy("n").agg(F.min("m").alias("low")).select("n", F.least("n", "low").alias("low"))
         # large star: larger neighbours move to the least of the neighbourhood
         large = split_join(both.where("m > n"), low, ["n"]).select(F.col("m").alias("v"), F.col("low").alias("u")).where("u < v").distinct()
         # small star: a node and its smaller neighbours move to the least of them
         low2 = large.groupBy("v").agg(F.min("u").alias("low"))
         small = split_join(large, low2, ["v"]).select(F.explode(F.array(F.struct(F.col("u").alias("v"), F.col("low").alias("u")), F.struct("v", F.col("low").alias("u")))).alias("e")).select("e.*").where("u < v").distinct()
-        new = cut_lineage(small)
-        # stars only: no node is both a centre and a leaf, and no leaf has two centres
-        state = new.groupBy("v").agg(F.count("*").alias("c")).join(new.select(F.col("u").alias("v")).distinct(), "v", "full").agg(F.count(F.when(F.col("c") > 1, 1)).alias("x"), F.count("*").alias("n"), F.count("c").alias("leaves")).first()
-        centres = new.select("u").distinct().count()
-        e = new
-        if not state["n"] or (state["x"] == 0 and state["n"] == state["leaves"] + centres):
+        e = written(small)
+        # stars stay as they are: the edges are settled when their number and hash are
+        now = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("v", "u").cast("decimal(20,0)"))).first())
+        if now == state or not now[0]:
             break
+        state = now
     else:
         raise RuntimeError("components did not settle")
     return e.select(F.col("v").alias("node"), F.col("u").alias("component")).unionAll(e.select(F.col("u").alias("node"), F.col("u").alias("component")).distinct())
@@ -170,5 +168,8 @@ def neighbours(rows: DataFrame) -> DataFrame:
     ends = found.where("edge").select("key", F.col("doc_id").alias("e_doc"), F.col("pos").alias("e_pos")).distinct()  # two rows a partition
     alone = found.where("not edge and other is null").select("key", "doc_id", "pos")
     late = alone.join(F.broadcast(ends), "key").where("doc_id != e_doc").groupBy("key", "doc_id", "pos").agg(F.min(F.struct("e_doc", "e_pos")).alias("o"))
-    late = late.select("key", "doc_id", "pos", F.col("o.e_doc").alias("other"), F.col("o.e_pos").alias("o_pos"), (F.col("o.e_doc") > F.col("doc_id")).alias("first"))
-    return found.where("not edge and other is not null").select("key", "doc_id", "pos", "other", "o_pos", "first").unionAll(late)
+    late = late.select("key", "doc_id", "pos", F.col("o.e_doc").alias("other"), F.col("o.e_pos").alias("o_pos"), F.lit(False).alias("first"))
+    out = found.where("not edge and other is not null").select("key", "doc_id", "pos", "other", "o_pos", "first").unionAll(late)
+    # keys that may span partitions (two a partition): which document is their first
+    least = found.where("not edge").join(F.broadcast(ends.select("key").distinct()), "key", "left_semi").groupBy("key").agg(F.min("doc_id").alias("_least"))
+    return out.join(F.broadcast(least), "key", "left").withColumn("first", F.coalesce(F.col("doc_id") == F.col("_least"), "first")).drop("_least")

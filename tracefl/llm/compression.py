@@ -112,9 +112,9 @@ def sample(docs: DataFrame, labels: DataFrame, usable: Column, per_label: int =
     return [(bytes(r["_t"]), r["_y"]) for r in rows]
 
 
-def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """docs with a column `score`: the chance that the label is 1."""
-    columns = [c for c in docs.columns if c != "score"]
+def score(docs: DataFrame, model: Model, text: str = "text", into: str = "score") -> DataFrame:
+    """docs with a column `into` (it replaces one of that name): the chance that the label is 1."""
+    columns = [c for c in docs.columns if c != into]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tools = _compressors(model.good, model.bad) if model.good and model.bad else None
@@ -124,7 +124,7 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
                 data = t.as_buffer().to_pybytes() if t.is_valid else b""
                 x = model.difference(data, *tools) if tools else 0.0
                 out.append(1 / (1 + math.exp(-max(-30.0, min(30.0, model.slope * x + model.offset)))))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(out, pa.float64())], [*columns, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(out, pa.float64())], [*columns, into])
 
     ddl = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in columns)
-    return docs.select(*[F.col(f"`{c}`") for c in columns], F.col(text).cast("binary").alias("_scored")).mapInArrow(run, f"{ddl}{', ' if ddl else ''}score double")
+    return docs.select(*[F.col(f"`{c}`") for c in columns], F.col(text).cast("binary").alias("_scored")).mapInArrow(run, f"{ddl}{', ' if ddl else ''}`{into}` double")

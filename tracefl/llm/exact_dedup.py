@@ -111,7 +111,7 @@ class BinaryFuse:
 def digests(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """(doc_id, chars, sha, incoming) of each row."""
     t = F.coalesce(F.col(text), F.lit(""))
-    return docs.select(F.col(key).alias("doc_id"), F.char_length(t).cast("long").alias("chars"), F.unhex(F.sha2(normalised(F.col(text)).cast("binary"), 256)).alias("sha"), F.col("_in").alias("incoming"))
+    return docs.select(F.col(key).alias("doc_id"), F.char_length(t).cast("long").alias("chars"), F.unhex(F.sha2(normalised(F.col(text)).cast("binary"), 256)).alias("sha"), F.col("__in").alias("incoming"))
 
 
 def grouped(rows: DataFrame) -> DataFrame:
@@ -151,9 +151,9 @@ def screen(incoming: DataFrame, filters: DataFrame) -> DataFrame:
 
 def verified(docs: DataFrame, pairs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """Digests of pairs (sha, a, b: the keys of two rows) whose texts are equal byte by byte."""
-    wanted = pairs.select("sha", F.explode(F.array_distinct(F.array("a", "b"))).alias("_id"))
-    texts = split_join(docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")), wanted, ["_id"])
-    texts = texts.select("sha", normalised(F.col("_text")).alias("_t"))
+    wanted = pairs.select("sha", F.explode(F.array_distinct(F.array("a", "b"))).alias("__id"))
+    texts = split_join(docs.select(F.col(key).alias("__id"), F.col(text).alias("__text")), wanted, ["__id"])
+    texts = texts.select("sha", normalised(F.col("__text")).alias("_t"))
     texts = texts.where(F.unhex(F.sha2(F.col("_t").cast("binary"), 256)) == F.col("sha"))  # keys may repeat
     return texts.groupBy("sha").agg(F.min("_t").alias("x"), F.max("_t").alias("y")).where("x = y").select("sha")
 
@@ -166,7 +166,7 @@ def resolve(docs: DataFrame, batch: Column, text: str = "text", key: str = "doc_
     """
     n_buckets = n_buckets or buckets(docs.sparkSession)
     # 60 bytes a row, written once: the texts are read and hashed once
-    rows = cut_lineage(digests(docs.withColumn("_in", F.coalesce(batch, F.lit(True))), text, key))
+    rows = cut_lineage(digests(docs.withColumn("__in", F.coalesce(batch, F.lit(True))), text, key))
     old, filters = snapshot(rows.where("not incoming"), n_buckets)
     new = grouped(rows.where("incoming")).withColumn("bucket", _bucket(n_buckets))
     maybe = screen(new, filters).where("maybe").select("sha")
@@ -184,8 +184,8 @@ def resolve(docs: DataFrame, batch: Column, text: str = "text", key: str = "doc_
 
 def dedup(docs: DataFrame, batch: Column, text: str = "text", key: str = "doc_id", n_buckets: int | None = None) -> DataFrame:
     """docs without duplicates, whole rows; of rows that tie in key and length as well, one."""
-    kept = resolve(docs, batch, text, key, n_buckets).where("kept").select(F.col("doc_id").alias("_id"), F.col("sha").alias("_sha"), F.col("chars").alias("_chars")).distinct()
-    rows = docs.withColumns({"_id": F.col(key), "_sha": F.unhex(F.sha2(normalised(F.col(text)).cast("binary"), 256)), "_chars": F.char_length(F.coalesce(F.col(text), F.lit(""))).cast("long")})
-    rows = rows.dropDuplicates(["_id", "_sha", "_chars"])  # partial on the map side; the join needs no further exchange
-    cond = F.col("d._id").eqNullSafe(F.col("k._id")) & (F.col("d._sha") == F.col("k._sha")) & (F.col("d._chars") == F.col("k._chars"))
+    kept = resolve(docs, batch, text, key, n_buckets).where("kept").select(F.col("doc_id").alias("__id"), F.col("sha").alias("__sha"), F.col("chars").alias("__chars")).distinct()
+    rows = docs.withColumns({"__id": F.col(key), "__sha": F.unhex(F.sha2(normalised(F.col(text)).cast("binary"), 256)), "__chars": F.char_length(F.coalesce(F.col(text), F.lit(""))).cast("long")})
+    rows = rows.dropDuplicates(["__id", "__sha", "__chars"])  # partial on the map side; the join needs no further exchange
+    cond = F.col("d.__id").eqNullSafe(F.col("k.__id")) & (F.col("d.__sha") == F.col("k.__sha")) & (F.col("d.__chars") == F.col("k.__chars"))
     return rows.alias("d").join(kept.alias("k"), cond, "left_semi").select(*docs.columns)

@@ -33,7 +33,7 @@ N = 5
 THRESHOLD = 0.8
 RECALL = 0.995
 CHUNK = 128
-CELLS = 16 << 20
+CELLS = 4 << 20
 
 
 def band_plan(threshold: float = THRESHOLD, recall: float = RECALL, most_hashes: int = 128) -> tuple[int, int]:
@@ -166,8 +166,8 @@ def _forest(n: int, pairs: np.ndarray) -> list[tuple[int, int]]:
     return out
 
 
-def verify(members: DataFrame, threshold: float = THRESHOLD, n: int = N, chunk: int = CHUNK) -> DataFrame:
-    """members (component, set, text): (set, other, n): verified links of a forest (n = 0), and with other null a set's number of links in one pair of chunks."""
+def verify(members: DataFrame, threshold: float = THRESHOLD, n: int = N, chunk: int = CHUNK, check: bool = True) -> DataFrame:
+    """members (component, set, text): (set, other, n): verified links of a forest (n = 0), and with other null a set's number of links in one pair of chunks. check: rows whose text hasn't the set of their name don't count."""
     counted = members.groupBy("component").agg(F.count("*").alias("m")).withColumn("k", F.ceil(F.col("m") / chunk).cast("int"))
     sized = split_join(members, counted.drop("m"), ["component"]).withColumn("c", F.pmod(F.xxhash64("set"), F.col("k")).cast("int"))
     # chunk c meets every chunk once: as the first of (c, j) for j >= c and as the second of (i, c) for i < c
@@ -177,6 +177,10 @@ def verify(members: DataFrame, threshold: float = THRESHOLD, n: int = N, chunk:
         i, j = key[1].as_py(), key[2].as_py()
         sets, side = np.array(table["set"].to_pylist(), np.int64), np.array(table["c"].to_pylist())
         got = [gram_sets(b, n) for b in blocks(table["text"])]
+        # rows that repeat a key bring each other's texts: each set counts once, with its own text
+        own = np.concatenate([_set_keys(o, x) for o, x in got]) == sets if check else np.ones(len(sets), bool)
+        once = np.zeros(len(sets), bool)
+        once[np.flatnonzero(own)[np.unique(sets[own], return_index=True)[1]]] = True
         sizes = np.concatenate([np.diff(o) for o, _ in got])
         h = np.concatenate([x for _, x in got])
         at = np.concatenate([[0], np.cumsum(sizes)])
@@ -184,8 +188,8 @@ def verify(members: DataFrame, threshold: float = THRESHOLD, n: int = N, chunk:
         def part(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             return np.concatenate([[0], np.cumsum(sizes[rows])]), np.concatenate([h[at[r] : at[r + 1]] for r in rows]) if len(rows) else h[:0]
 
-        left = np.flatnonzero(side == i)
-        right = left if i == j else np.flatnonzero(side == j)
+        left = np.flatnonzero((side == i) & once)
+        right = left if i == j else np.flatnonzero((side == j) & once)
         both = overlaps(*part(left), *part(right)) if len(left) and len(right) else np.zeros((len(left), len(right)), np.int64)
         total = sizes[left][:, None] + sizes[right][None, :] - both
         ok = both >= threshold * total - 1e-9
@@ -208,8 +212,8 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL,
     comps = cut_lineage(components(candidates(distinct)).withColumnRenamed("node", "set"))
     # one text for each set of a component of two or more
     first = rows.groupBy("set").agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id")).alias("f"), F.count("*").alias("copies")).select("set", F.col("f.doc_id").alias("first_id"), "copies")
-    wanted = split_join(comps, first, ["set"]).select("set", "component", F.col("first_id").alias("_id"))
-    texts = split_join(docs.select(F.col(key).alias("_id"), F.col(text).alias("text")), wanted, ["_id"])
+    wanted = split_join(comps, first, ["set"]).select("set", "component", F.col("first_id").alias("__id"))
+    texts = split_join(docs.select(F.col(key).alias("__id"), F.col(text).alias("text")), wanted, ["__id"])
     found = cut_lineage(verify(texts.select("component", "set", "text"), threshold, n))
     classes = components(found.where("other is not null").select(F.col("set").alias("a"), F.col("other").alias("b"))).withColumnsRenamed({"node": "set", "component": "class"})
     links = found.where("other is null").groupBy("set").agg(F.sum("n").alias("n_links"))
@@ -221,5 +225,5 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL,
 
 def dedup(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL, n: int = N, text: str = "text", key: str = "doc_id") -> DataFrame:
     """docs with one document of each class, the one of the least key; keys are taken as unique (rows that repeat a key share its fate)."""
-    keep = join(docs, threshold, recall, n, text, key).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("_id")).distinct()
-    return split_join(docs.withColumn("_id", F.col(key)), keep, ["_id"]).drop("_id")
+    keep = join(docs, threshold, recall, n, text, key).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__id")).distinct()
+    return split_join(docs.withColumn("__id", F.col(key)), keep, ["__id"]).drop("__id")

@@ -17,8 +17,8 @@ rows are ordered by a hash (the local shuffle).
 
 Defined results: a null text has size 0; a null source is a source of its own, last in order;
 equal rows are dealt as one row each; sources without words get target 0; an empty table
-gives an empty table. Extra columns are carried along by ``mix``; the columns that it adds
-replace columns of the same name.
+gives an empty table. Extra columns are carried along by ``mix``; the columns that it adds,
+whose names may get a prefix, replace columns of the same name.
 """
 
 from __future__ import annotations
@@ -155,10 +155,10 @@ def taken(docs: DataFrame, **how) -> DataFrame:
     return out.drop("m")
 
 
-def mix(docs: DataFrame, levels: int = 3, seed: int = 17, block_words: int = 1 << 15, text: str = "text", source: str = "source", key: str = "doc_id", **shares) -> DataFrame:
+def mix(docs: DataFrame, levels: int = 3, seed: int = 17, block_words: int = 1 << 15, text: str = "text", source: str = "source", key: str = "doc_id", prefix: str = "", **shares) -> DataFrame:
     """docs in the mix: one row for each time a row is taken, with its pass, block, shard (of 2**levels) and place there."""
     _, dealt = deal(docs, levels, seed, block_words, text, source, key, **shares)
-    dealt = dealt.select(F.col("doc_id").alias("_k"), F.col("source").alias("_s"), "size", "source_size", "target", "taken", "pass_no", "block", "shard", hash32(seed, "shuffle", F.col("doc_id"), F.col("pass_no")).alias("shard_order"))
-    kept = docs.select(*[c for c in docs.columns if c not in ADDED])
-    kept = kept.withColumns({"_k": F.col(key), "_s": F.col(source), "size": word_count(F.col(text))})
-    return split_join(kept, dealt, ["_k", "_s", "size"]).drop("_k", "_s")
+    dealt = dealt.withColumn("shard_order", hash32(seed, "shuffle", F.col("doc_id"), F.col("pass_no")))
+    dealt = dealt.select(F.col("doc_id").alias("__k"), F.col("source").alias("__s"), F.col("size").alias("__n"), *[F.col(c).alias(prefix + c) for c in ADDED])
+    kept = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in {prefix + a for a in ADDED}], F.col(key).alias("__k"), F.col(source).alias("__s"), word_count(F.col(text)).alias("__n"))
+    return split_join(kept, dealt, ["__k", "__s", "__n"]).drop("__k", "__s", "__n")

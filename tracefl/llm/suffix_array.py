@@ -79,8 +79,8 @@ def _segments(met: DataFrame, kind: str, m: int, least: int) -> DataFrame:
 def _windows(docs: DataFrame, suffixes: DataFrame, text: str, key: str, least: int, slack: int) -> DataFrame:
     """(key, doc_id, pos): hashes of the windows of `least` words that begin at most `slack` words before the suffixes (doc_id, pos)."""
     kind = docs.schema[key].dataType.simpleString()
-    lists = suffixes.groupBy(F.col("doc_id").alias("_id")).agg(F.collect_list("pos").alias("marks"))  # bounded by the document's length
-    texts = split_join(docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")), lists, ["_id"]).select("_id", "_text", "marks")
+    lists = suffixes.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_list("pos").alias("marks"))  # bounded by the document's length
+    texts = split_join(docs.select(F.col(key).alias("__id"), F.col(text).alias("__text")), lists, ["__id"]).select("__id", "__text", "marks")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -132,13 +132,13 @@ def passages(docs: DataFrame, least: int = LEAST, slack: int = SLACK, k: int = K
 def cut(docs: DataFrame, spans: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """docs without the spans' words (each with the white space after it)."""
     columns = docs.columns
-    lists = spans.groupBy(F.col(key).alias("_id") if key in spans.columns else F.col("doc_id").alias("_id")).agg(F.array_sort(F.collect_list(F.struct("start_word", "end_word"))).alias("_cut"))
-    rows = split_join(docs.withColumn("_id", F.col(key)), lists, ["_id"], "left")
+    lists = spans.groupBy(F.col(key).alias("__id") if key in spans.columns else F.col("doc_id").alias("__id")).agg(F.array_sort(F.collect_list(F.struct("start_word", "end_word"))).alias("__cut"))
+    rows = split_join(docs.withColumn("__id", F.col(key)), lists, ["__id"], "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out: list[str | None] = []
-            texts, cuts = batch.column(batch.schema.names.index(text)), batch.column(batch.schema.names.index("_cut")).to_pylist()
+            texts, cuts = batch.column(batch.schema.names.index(text)), batch.column(batch.schema.names.index("__cut")).to_pylist()
             for b in blocks(texts):
                 for i in range(b.n):
                     if not cuts[b.row0 + i]:

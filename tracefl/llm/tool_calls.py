@@ -137,9 +137,13 @@ def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict]) -> Data
                     continue
                 try:
                     value = json.loads(arguments) if arguments is not None else None
-                    found = [f"unknown tool {name}"] if name not in schemas else ([] if isinstance(value, dict) else ["$: not an object"]) or errors(value, schemas[name])
+                    found = [] if isinstance(value, dict) else ["$: not an object"]
                 except ValueError:
                     value, found = arguments, ["$: not JSON"]
+                if name not in schemas:
+                    found = [f"unknown tool {name}", *found]
+                elif not found:
+                    found = errors(value, schemas[name])
                 done = r_turn is not None
                 status.append("linked" if done else "pending")
                 n.append(len(found))
