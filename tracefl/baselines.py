@@ -92,6 +92,14 @@ def static_features(docs: DataFrame, buckets: int = 256, n: int = 2) -> DataFram
     return g.groupBy("script_id", bucket.cast("int").alias("feature_id")).agg(F.count("*").cast("double").alias("v"))
 
 
+def shape_features(docs: DataFrame, buckets: int = 256) -> DataFrame:
+    """(script_id, feature_id, v): counts of word shapes (runs of capitals, small letters and digits by one sign each), hashed."""
+    shape = F.regexp_replace(F.regexp_replace(F.regexp_replace("w", r"\p{Lu}+", "A"), r"\p{Ll}+", "a"), r"[0-9]+", "9")
+    words = docs.select(F.col("doc_id").alias("script_id"), F.explode(F.split("text", r"\s+")).alias("w")).where("w != ''")
+    bucket = F.conv(F.substring(F.md5(shape), 1, 8), 16, 10).cast("long") % buckets
+    return words.groupBy("script_id", bucket.cast("int").alias("feature_id")).agg(F.count("*").cast("double").alias("v"))
+
+
 def fed_tree_histogram(shard: DataFrame, feats: DataFrame, labels: DataFrame, edges: tuple[float, ...] = (0.5, 5.0, 20.0, 60.0)) -> DataFrame:
     """(feature_id, edge, gain): Gini gain of the first split from histograms that participants would send (sums over shards)."""
     rows = shard.join(labels.select("script_id", "y"), "script_id")

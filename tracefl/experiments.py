@@ -143,12 +143,12 @@ def by_growth(case: Case, pool: list[int], step: int, most: int, w: int = 10_000
 
 
 def by_limited(case: Case, shares: tuple[float, ...] = (0.0, 0.5, 1.0), w: int = 10_000, rounds: int = 5, sample: int = 100) -> list[tuple]:
-    """(share of limited participants, score of unlikeness with 1 at share 0, area)."""
+    """(share of limited participants, score of unlikeness over positives with 1 at share 0, area)."""
     few = participants.people(case.spark, sample)
     first, out = None, []
     for s in shares:
         shards = limited(case, s)
-        d = noniid.spread(shards(few), case.labelled).first()["spread"]
+        d = noniid.spread(shards(few), case.labelled, positives=True).first()["spread"]
         first = first or d
         area = sweep(case, {"r": run_of(base(w, rounds=rounds), case.mean, case.scale)}, shards)["r"]
         out.append((s, d / first, area))

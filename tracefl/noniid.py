@@ -8,8 +8,9 @@ from pyspark.sql import functions as F
 from .labels import FAMILIES
 
 
-def histogram(shard: DataFrame, labelled: DataFrame) -> DataFrame:
-    """(participant_id, family, share): families of a participant's scripts, with `none` for the others. A script of several families counts in each."""
+def histogram(shard: DataFrame, labelled: DataFrame, positives: bool = False) -> DataFrame:
+    """(participant_id, family, c, share): families of a participant's scripts, with `none` for the others unless only positives count. A script of several families counts in each."""
+    labelled = labelled.where("y = 1") if positives else labelled
     fam = F.array_compact(F.array(*[F.when(F.col(n), F.lit(n)) for n in FAMILIES]))
     rows = shard.join(labelled, "script_id").select("participant_id", F.explode(F.when(F.size(fam) == 0, F.array(F.lit("none"))).otherwise(fam)).alias("family"))
     g = rows.groupBy("participant_id", "family").agg(F.count("*").alias("c"))
@@ -17,9 +18,9 @@ def histogram(shard: DataFrame, labelled: DataFrame) -> DataFrame:
     return g.join(n, "participant_id").select("participant_id", "family", "c", (F.col("c") / F.col("n")).alias("share"))
 
 
-def spread(shard: DataFrame, labelled: DataFrame, distance: str = "tv") -> DataFrame:
+def spread(shard: DataFrame, labelled: DataFrame, distance: str = "tv", positives: bool = False) -> DataFrame:
     """Mean over participants of the distance to the pooled histogram: tv (total variation), hellinger or js (Jensen-Shannon)."""
-    h = histogram(shard, labelled)
+    h = histogram(shard, labelled, positives)
     total = h.groupBy("family").agg(F.sum("c").alias("c"))
     pooled = total.crossJoin(F.broadcast(total.agg(F.sum("c").alias("n")))).select("family", (F.col("c") / F.col("n")).alias("pool"))
     grid = h.select("participant_id").distinct().crossJoin(F.broadcast(pooled)).join(h.select("participant_id", "family", "share"), ["participant_id", "family"], "left")  # five families at most

@@ -456,9 +456,9 @@ def w17_poisoning(spark: SparkSession, d: str) -> DataFrame:
 
 @query("w14_independent_truth")
 def w14_independent_truth(spark: SparkSession, d: str) -> DataFrame:
-    """Documents' own labels as truth, hashed tokens as calls, sources as participants: no rule takes part."""
+    """Documents' own labels as truth, words' shapes as calls, sources as participants: no rule takes part."""
     docs = read(spark, d, "documents")
-    feats = features.pack(baselines.static_features(docs, 256, 1))
+    feats = features.pack(baselines.shape_features(docs, 256))
     lab = read(spark, d, "labels").select(F.col("doc_id").alias("script_id"), (1 - F.col("quality")).alias("y"))
     parts = participants.split(lab)
     packed = feats.join(parts, "script_id")
