@@ -200,13 +200,13 @@ def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: t
         find, table = regex.compile(pattern).findall, token_bytes(path)
         words_: set[str] = set()
         chunks: set[str] = set()
-        cut = []
+        safe = []  # the cut texts aren't kept: their chunks would be many small strings
         for t in texts["_text"]:
             parts = _chunks(t.as_py()) if by_chunk else None
-            own = [find(t.as_py())] if parts is None else [find(parts[0])]
-            words_.update(own[0])
+            safe.append(parts is not None)
+            words_.update(find(t.as_py() if parts is None else parts[0]))
             chunks.update(parts[1:] if parts else ())
-            cut.append((own[0], parts))
+        parts = None
         tokens = _tokens(chunks, find)
         words_.update(*tokens.values())
         ids_of: dict[str, bytes] = {}
@@ -215,9 +215,11 @@ def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: t
             ids_of.update(zip(own, _unpack(blobs[place].as_py()), strict=True))
         join = lambda ws: b"".join(map(ids_of.__getitem__, ws))
         ids_of_chunk = {c: join(ws) for c, ws in tokens.items()}
+        del tokens, words_, chunks, blobs
         n_tokens, left, right = [], [], []
-        for first, parts in cut:
-            ids = join(first) + (b"".join(map(ids_of_chunk.__getitem__, parts[1:])) if parts else b"")
+        for t, whole in zip(texts["_text"], safe, strict=True):
+            parts = t.as_py().split(" ") if whole else [t.as_py()]
+            ids = join(find(parts[0])) + b"".join(map(ids_of_chunk.__getitem__, parts[1:]))
             decoded = b"".join(map(table.__getitem__, np.frombuffer(ids, "<u4").tolist()))
             n_tokens.append(len(ids) // 4)
             left.append(hashlib.sha256(ids).hexdigest() if digest else ids)
