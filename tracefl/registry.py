@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 Query = Callable[[SparkSession, str], DataFrame]
 
 FLAGSHIP = "flagship_private_detector"
-MODULES: tuple[str, ...] = ("plans.core", "plans.learning", "operators.relational", "functions.scalars", "functions.sql_functions", "sources.io", "streaming.event_streams")
+MODULES: tuple[str, ...] = ("plans.core", "plans.learning", "plans.probes", "operators.relational", "functions.scalars", "functions.sql_functions", "sources.io", "streaming.event_streams")
 _queries: dict[str, Query] = {}
 _oracles: dict[str, str] = {}
 
