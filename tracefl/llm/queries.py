@@ -90,4 +90,47 @@ SELECT doc_id,
 FROM t
 """
 
-ORACLES: dict[str, str] = {"op2_exact_dedup": OP2_SQL}
+#: Sizes, targets by the level of capped shares, then whole blocks in hash order and the rows of the block at the border.
+OP1_SQL = r"""
+WITH d AS (
+  SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size,
+         CAST('0x' || substr(md5('17|row|' || coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 8) AS BIGINT) AS h
+  FROM documents),
+s AS (
+  SELECT source, CAST(sum(size) AS BIGINT) AS source_size,
+         [3, 1, 2][CAST((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1 AS INT)] AS w
+  FROM d GROUP BY source),
+r AS (
+  SELECT *, (sum(source_size) OVER () * 3 / 2.0 - coalesce(sum(2 * source_size) OVER before, 0))
+            / (sum(w) OVER () - coalesce(sum(w) OVER before, 0)) AS try
+  FROM s WINDOW before AS (ORDER BY 2 * source_size / w, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+l AS (SELECT arg_min(try, 2 * source_size / w) AS level FROM r WHERE try * w <= 2 * source_size),
+t AS (
+  SELECT source, source_size,
+         CAST(CASE WHEN level IS NULL OR level * w >= 2 * source_size THEN 2 * source_size ELSE level * w END AS DOUBLE) AS target
+  FROM r, l),
+g AS (
+  SELECT *, CAST(floor(target / greatest(source_size, 1)) AS BIGINT) AS whole_passes,
+         CAST(greatest(0, least(31, ceil(log2(greatest(1.0, source_size / 32768.0))))) AS INT) AS bits
+  FROM t),
+p AS (
+  SELECT d.*, source_size, target, whole_passes, target - whole_passes * source_size AS rest, h >> (32 - bits) AS block
+  FROM d JOIN g ON d.source IS NOT DISTINCT FROM g.source),
+b AS (
+  SELECT source, block, sum(size) AS words, any_value(rest) AS rest,
+         CAST('0x' || substr(md5('17|super|' || block), 1, 8) AS BIGINT) % 64 AS super,
+         CAST('0x' || substr(md5('17|block|' || coalesce(source, chr(0) || 'null') || '|' || block), 1, 8) AS BIGINT) AS o
+  FROM p GROUP BY source, block),
+q AS (
+  SELECT *, coalesce(sum(words) OVER (PARTITION BY source ORDER BY super, o, block ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
+  FROM b),
+x AS (
+  SELECT p.*, before, before + words <= p.rest AS inside, before < p.rest AND before + words > p.rest AS border,
+         coalesce(sum(size) OVER (PARTITION BY p.source, p.block ORDER BY h, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS sofar
+  FROM p JOIN q ON p.source IS NOT DISTINCT FROM q.source AND p.block = q.block)
+SELECT doc_id, size, source_size, target,
+       CAST(size * (whole_passes + CASE WHEN inside OR (border AND before + sofar + size / 2.0 <= rest) THEN 1 ELSE 0 END) AS BIGINT) AS taken
+FROM x
+"""
+
+ORACLES: dict[str, str] = {"op1_mixing": OP1_SQL, "op2_exact_dedup": OP2_SQL}
