@@ -3,7 +3,8 @@
 Two dictionaries are built from labelled texts, one for each label. A text is cut into chunks of 512 bytes
 (all of it); each chunk is compressed with both, and the difference of the summed sizes over their sum says
 which dictionary suits it better. A logistic curve over that difference, fitted on labelled texts that the
-dictionaries haven't seen, makes it a probability.
+dictionaries haven't seen, makes it a probability. Every text counts as if it had some more bytes of the sample's mean difference, so that very
+short texts lean to it.
 
 The labelled sample is bounded: at most ``per_label`` rows of each label, those of least hash, and of each text
 ``sample_chunks`` evenly spaced chunks; both are parameters. Scoring reads every whole text, in the executors, with no shuffle.
@@ -35,15 +36,17 @@ class Model:
     slope: float
     offset: float
     chunk: int = 512
+    centre: float = 0.0  # the difference that a text without bytes has: the sample's mean
+    weight: int = 64  # so many compressed bytes of it are added to every text
 
     def difference(self, data: bytes, good, bad) -> float:
-        """(bytes with the bad dictionary - with the good one) / their sum; the frames' fixed bytes don't count."""
+        """(bytes with the bad dictionary - with the good one) / their sum; the frames' fixed bytes don't count. Short texts lean to the centre."""
         g = b = 0
         for i in range(0, len(data), self.chunk):
             part = data[i : i + self.chunk]
             g += len(good.compress(part)) - 8
             b += len(bad.compress(part)) - 8
-        return (b - g) / max(1, b + g)
+        return (b - g + self.weight * self.centre) / max(1, b + g + self.weight)
 
 
 def _compressors(good: bytes, bad: bytes) -> list:
@@ -93,12 +96,14 @@ def fit(rows: list[tuple[bytes, int]], chunk: int = 512, dictionary_bytes: int =
                 own.append(c[: min(each, room)])
                 room -= len(own[-1])
         ends.append(b"\n".join(own))
-    model = Model(*ends, 0.0, 0.0, chunk)
     tools = _compressors(*ends)
     rest = [(t, k) for k in (0, 1) for t in by[k][1::2]]
+    plain = Model(*ends, 0.0, 0.0, chunk, weight=0)
+    centre = float(np.mean([plain.difference(t, *tools) for t, _ in rest]))
+    model = Model(*ends, 0.0, 0.0, chunk, centre)
     x = np.array([model.difference(t, *tools) for t, _ in rest])
     y = np.array([k for _, k in rest], float)
-    return Model(*ends, *_logistic(x, y), chunk)
+    return Model(*ends, *_logistic(x, y), chunk, centre)
 
 
 def sample(docs: DataFrame, labels: DataFrame, usable: Column, per_label: int = 1500, text: str = "text", key: str = "doc_id", label: str = "quality") -> list[tuple[bytes, int]]:
