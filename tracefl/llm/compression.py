@@ -9,7 +9,7 @@ short texts lean to it.
 The labelled sample is bounded: at most ``per_label`` rows of each label, those of least hash, and of each text
 ``sample_chunks`` evenly spaced chunks; both are parameters. Scoring reads every whole text, in the executors, with no shuffle.
 
-Defined results: null and empty texts score as the model scores an even difference; without labelled rows of both
+Defined results: null and empty texts score as the sample's mean difference does; without labelled rows of both
 labels every score is the share of good ones (0.5 without any rows); repeated rows get equal scores; an
 empty table gives an empty table.
 """
