@@ -133,4 +133,27 @@ SELECT doc_id, size, source_size, target,
 FROM x
 """
 
-ORACLES: dict[str, str] = {"op1_mixing": OP1_SQL, "op2_exact_dedup": OP2_SQL}
+#: Plain turns as calls and results; every dependency points back, so a call's place is its turn.
+OP3_SQL = r"""
+WITH m AS (SELECT *, CAST(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')) AS BIGINT) AS words FROM conversations),
+c AS (
+  SELECT conv_id, turn, 't' || turn AS call_id, role, text, words,
+         CASE WHEN role = 'user' AND turn > 0 THEN list_sort(list_distinct(['t' || (turn - 1), 't' || (turn - 2)])) ELSE [] END AS deps
+  FROM m WHERE role IN ('user', 'system')),
+r AS (SELECT conv_id, 't' || (turn - 1) AS call_id, turn, text AS content FROM m WHERE role = 'assistant'),
+j AS (SELECT c.*, r.turn AS r_turn, content FROM c LEFT JOIN r USING (conv_id, call_id))
+SELECT conv_id, call_id, turn, turn AS place, 0 AS step, false AS cyclic,
+       CASE WHEN r_turn IS NULL THEN 'pending' ELSE 'linked' END AS status,
+       CASE WHEN role = 'user' THEN CAST(length(text) = 0 AS INT) + CAST(words < 1 OR words > 4096 AS INT) ELSE CAST(length(text) = 0 AS INT) END AS n_errors,
+       CASE WHEN role = 'user' THEN CASE WHEN length(text) = 0 THEN '$.prompt: below minLength' WHEN words < 1 THEN '$.words: below minimum' WHEN words > 4096 THEN '$.words: above maximum' END
+            WHEN length(text) = 0 THEN '$.rule: below minLength' END AS first_error,
+       '{"arguments":' || CASE WHEN role = 'user' THEN '{"prompt":' || to_json(text) || ',"words":' || words || '}' ELSE '{"rule":' || to_json(text) || '}' END
+         || ',"depends_on":[' || array_to_string(list_transform(deps, lambda x: '"' || x || '"'), ',') || '],"id":"' || call_id || '","name":"'
+         || CASE WHEN role = 'user' THEN 'reply' ELSE 'instruct' END || '"' || CASE WHEN r_turn IS NULL THEN '' ELSE ',"result":' || to_json(content) END || '}' AS json
+FROM j
+UNION ALL
+SELECT conv_id, call_id, turn, turn, 0, false, 'orphan', 0, NULL, '{"id":"' || call_id || '","result":' || to_json(content) || '}'
+FROM r WHERE NOT EXISTS (SELECT 1 FROM c WHERE c.conv_id = r.conv_id AND c.call_id = r.call_id)
+"""
+
+ORACLES: dict[str, str] = {"op1_mixing": OP1_SQL, "op3_tool_calls": OP3_SQL, "op2_exact_dedup": OP2_SQL}
