@@ -171,5 +171,5 @@ def neighbours(rows: DataFrame) -> DataFrame:
     late = late.select("key", "doc_id", "pos", F.col("o.e_doc").alias("other"), F.col("o.e_pos").alias("o_pos"), F.lit(False).alias("first"))
     out = found.where("not edge and other is not null").select("key", "doc_id", "pos", "other", "o_pos", "first").unionAll(late)
     # keys that may span partitions (two a partition): which document is their first
-    least = found.where("not edge").groupBy("key").agg(F.min("doc_id").alias("_least")).join(F.broadcast(ends.select("key").distinct()), "key", "left_semi")
+    least = found.where("not edge").groupBy("key").agg(F.min("doc_id").alias("_least")).join(F.broadcast(ends.select("key").distinct()), "key")  # not a semi-join: that would be pushed below the grouping
     return out.join(F.broadcast(least), "key", "left").withColumn("first", F.coalesce(F.col("doc_id") == F.col("_least"), "first")).drop("_least")
