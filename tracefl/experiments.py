@@ -98,7 +98,7 @@ def base(w: int, cohort: int = 100, **how) -> TrainConfig:
     return TrainConfig(catalogue.N_FEATURES, w, q=min(1.0, cohort / w), **how)
 
 
-def by_participants(case: Case, ws: tuple[int, ...] = (1, 10, 100), sets: tuple[str, ...] = ("full", "native"), rounds: int = 4, seeds: int = 1) -> list[tuple]:
+def by_participants(case: Case, ws: tuple[int, ...] = (1, 10, 100, 1000), sets: tuple[str, ...] = ("full", "lab", "extension", "native"), rounds: int = 4, seeds: int = 5) -> list[tuple]:
     """(set, W, seed, area) without noise, everyone in each round."""
     runs = {f"{s}|{w}|{k}": run_of(TrainConfig(catalogue.N_FEATURES, w, rounds=rounds, q=1.0, clip=math.inf, seed=f"fl{k}"), case.mean, case.scale, catalogue.feature_set(s)) for s in sets for w in ws for k in range(seeds)}
     return [(*_split(n), a) for n, a in sweep(case, runs).items()]
@@ -109,20 +109,21 @@ def _split(name: str) -> tuple:
     return s, float(w), int(k)
 
 
-def by_budget(case: Case, ws: tuple[int, ...] = (10_000, 1_000_000), eps: tuple[float, ...] = (1.0, 10.0, math.inf), rounds: int = 6, feature_set: str = "full", seeds: int = 1, private: bool = False) -> list[tuple]:
-    """(set, W, epsilon, z, seed, area): training noise for the whole budget of 2F statistics and R rounds."""
+def by_budget(case: Case, ws: tuple[int, ...] = (10_000, 100_000, 1_000_000), eps: tuple[float, ...] = (1.0, 5.0, 10.0, math.inf), rounds: int = 6, sets: tuple[str, ...] = ("full",), seeds: int = 5) -> list[tuple]:
+    """(set, W, epsilon, z, seed, area): 2F statistics and R rounds share the budget; means and variances are noised as well, anew for each seed. Without noise they are exact."""
     runs, zs = {}, {}
     for w in ws:
         for e in eps:
             cfg = base(w, rounds=rounds)
-            zs[w, e] = BudgetPlan(e, catalogue.N_FEATURES, rounds, cfg.q).resolve()[1]
-            mean, scale = private_scale(case, w, cfg.q, zs[w, e]) if private and zs[w, e] else (case.mean, case.scale)
+            z_scale, zs[w, e] = BudgetPlan(e, catalogue.N_FEATURES, rounds, cfg.q).resolve()
             for k in range(seeds):
-                runs[f"{w}|{e}|{k}"] = run_of(replace(cfg, z=zs[w, e], seed=f"fl{k}"), mean, scale, catalogue.feature_set(feature_set))
+                mean, scale = private_scale(case, w, cfg.q, z_scale, seed=f"scale{k}") if z_scale else (case.mean, case.scale)
+                for s in sets:
+                    runs[f"{s}|{w}|{e}|{k}"] = run_of(replace(cfg, z=zs[w, e], seed=f"fl{k}"), mean, scale, catalogue.feature_set(s))
     out = []
     for n, a in sweep(case, runs).items():
-        w, e, k = n.split("|")
-        out.append((feature_set, float(w), float(e), zs[int(w), float(e)], int(k), a))
+        s, w, e, k = n.split("|")
+        out.append((s, float(w), float(e), zs[int(w), float(e)], int(k), a))
     return out
 
 
@@ -142,16 +143,16 @@ def by_growth(case: Case, pool: list[int], step: int, most: int, w: int = 10_000
     return sorted((int(n), a) for n, a in sweep(case, runs).items())
 
 
-def by_limited(case: Case, shares: tuple[float, ...] = (0.0, 0.5, 1.0), w: int = 10_000, rounds: int = 5, sample: int = 100) -> list[tuple]:
-    """(share of limited participants, score of unlikeness over positives with 1 at share 0, area)."""
+def by_limited(case: Case, shares: tuple[float, ...] = (0.0, 0.2, 0.4, 0.5, 0.6, 0.8, 1.0), w: int = 10_000, rounds: int = 5, sample: int = 100, seeds: int = 5) -> list[tuple]:
+    """(share of limited participants, seed, score of unlikeness over positives with 1 at share 0, area)."""
     few = participants.people(case.spark, sample)
     first, out = None, []
     for s in shares:
         shards = limited(case, s)
         d = noniid.spread(shards(few), case.labelled, positives=True).first()["spread"]
         first = first or d
-        area = sweep(case, {"r": run_of(base(w, rounds=rounds), case.mean, case.scale)}, shards)["r"]
-        out.append((s, d / first, area))
+        areas_ = sweep(case, {str(k): run_of(base(w, rounds=rounds, seed=f"fl{k}"), case.mean, case.scale) for k in range(seeds)}, shards)
+        out += [(s, int(k), d / first, a) for k, a in areas_.items()]
     return out
 
 

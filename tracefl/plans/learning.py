@@ -406,7 +406,7 @@ def w4_budget(spark: SparkSession, d: str) -> DataFrame:
 @query("w5_sets")
 def w5_sets(spark: SparkSession, d: str) -> DataFrame:
     with case_of(spark, d) as case:
-        out = [r for s in ("full", "extension", "native") for r in experiments.by_budget(case, (1_000_000,), (1.0, math.inf), 3, s)]
+        out = experiments.by_budget(case, (1_000_000,), rounds=3, sets=("full", "lab", "extension", "native"))
         return rows(spark, out, "feature_set string, participants double, epsilon double, z double, seed int, auprc double")
 
 
@@ -444,7 +444,7 @@ def w9_scaling(spark: SparkSession, d: str) -> DataFrame:
 @query("w10_limited")
 def w10_limited(spark: SparkSession, d: str) -> DataFrame:
     with case_of(spark, d) as case:
-        return rows(spark, experiments.by_limited(case, rounds=3), "share double, unlikeness double, auprc double")
+        return rows(spark, experiments.by_limited(case, rounds=3), "share double, seed int, unlikeness double, auprc double")
 
 
 @query("w17_poisoning")
