@@ -76,21 +76,24 @@ def errors(value: object, schema: dict, at: str = "$") -> list[str]:
     return out
 
 
-def places(calls: DataFrame, most_rounds: int = 64) -> DataFrame:
+def places(calls: DataFrame) -> DataFrame:
     """(conv_id, call_id, place, step, cyclic): calls in the order (place, step, turn, call_id) come after what they depend on."""
     own = cut_lineage(calls.where("call_id is not null").groupBy("conv_id", "call_id").agg(F.min("turn").alias("turn"), F.flatten(F.collect_list(F.coalesce("depends_on", F.array().cast("array<string>")))).alias("deps")))
     edges = own.select("conv_id", "call_id", "turn", F.explode(F.array_distinct("deps")).alias("dep"))
     known = own.select(F.col("conv_id").alias("_c"), F.col("call_id").alias("dep"), F.col("turn").alias("dep_turn"))
     edges = cut_lineage(edges.join(known, (F.col("conv_id") == F.col("_c")) & (edges["dep"] == known["dep"])).select("conv_id", "call_id", edges["dep"], "turn", "dep_turn"))
-    place = own.select("conv_id", "call_id", F.col("turn").alias("place"))
+    place = own.select("conv_id", "call_id", F.col("turn").alias("place"), F.lit(None).cast("string").alias("jump"))
     if edges.where("dep_turn >= turn").isEmpty():
         return own.select("conv_id", "call_id", F.col("turn").alias("place"), F.lit(0).alias("step"), F.lit(False).alias("cyclic"))
-    for _ in range(most_rounds):
-        at = place.select(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d"), F.col("place").alias("p"))
-        raised = edges.join(at, (F.col("conv_id") == F.col("_c")) & (F.col("dep") == F.col("_d"))).groupBy("conv_id", "call_id").agg(F.max("p").alias("p"))
-        new = cut_lineage(split_join(place, raised, ["conv_id", "call_id"], "left").select("conv_id", "call_id", F.greatest("place", F.coalesce("p", "place")).alias("new"), "place"))
-        place = new.select("conv_id", "call_id", F.col("new").alias("place"))
-        if new.where("new > place").isEmpty():
+    # a call's jump is the furthest call that its place came from, one more link to follow: a chain of n calls settles in some log n rounds.
+    # Places only rise, and only to turns that there are: so this ends, with cycles too
+    while True:
+        at = place.select(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d"), F.col("place").alias("p"), F.col("jump").alias("_jump"))
+        links = edges.select("conv_id", "call_id", "dep").unionAll(place.where("jump is not null").select("conv_id", "call_id", F.col("jump").alias("dep")))
+        raised = links.join(at, (F.col("conv_id") == F.col("_c")) & (F.col("dep") == F.col("_d"))).groupBy("conv_id", "call_id").agg(F.max(F.struct("p", F.coalesce("_jump", "dep").alias("to"))).alias("r"))
+        new = cut_lineage(split_join(place, raised, ["conv_id", "call_id"], "left").withColumn("up", F.coalesce(F.col("r.p") > F.col("place"), F.lit(False))))
+        place = new.select("conv_id", "call_id", F.when(F.col("up"), F.col("r.p")).otherwise(F.col("place")).alias("place"), F.when(F.col("up"), F.col("r.to")).otherwise(F.col("jump")).alias("jump"))
+        if new.where("up").isEmpty():
             break
     # a call and its dependency in one place: what is left to order is small
     at = place.select(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d"), F.col("place").alias("p"))
@@ -113,7 +116,7 @@ def places(calls: DataFrame, most_rounds: int = 64) -> DataFrame:
 
     kind = calls.schema["conv_id"].dataType.simpleString()
     steps = tied.groupBy("conv_id", "place").applyInArrow(order, f"conv_id {kind}, call_id string, step int, cyclic boolean")
-    return split_join(place, steps, ["conv_id", "call_id"], "left").select("conv_id", "call_id", "place", F.coalesce("step", F.lit(0)).alias("step"), F.coalesce("cyclic", F.lit(False)).alias("cyclic"))
+    return split_join(place.drop("jump"), steps, ["conv_id", "call_id"], "left").select("conv_id", "call_id", "place", F.coalesce("step", F.lit(0)).alias("step"), F.coalesce("cyclic", F.lit(False)).alias("cyclic"))
 
 
 def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict]) -> DataFrame:
