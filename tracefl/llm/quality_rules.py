@@ -10,7 +10,7 @@ Everything about one text is found in one vectorised pass over blocks of texts.
 are 5 languages by about 150 bins whatever the corpus' size, so they may come to the driver.
 
 Defined results: null and empty texts have no words, all counts 0, and fail the base rule; a null or unknown
-language is compared with the shared reference; a reference without any words passes everything.
+language is compared with the shared reference of characters and the nearest language's words; a reference without any words passes everything.
 """
 
 from __future__ import annotations
@@ -137,6 +137,16 @@ def js_distance(p: np.ndarray, q: np.ndarray) -> np.ndarray:
     return np.sqrt(np.clip(kl / 2, 0, 1))
 
 
+def nearest(rows: np.ndarray, refs: dict[tuple[str, str], np.ndarray]) -> np.ndarray:
+    """Least distance of each row of counts over all languages' common words from a language's reference; 0 if there is none."""
+    out = []
+    for x in COMMON:
+        if refs[x, "words"].sum():
+            own = rows[:, np.searchsorted(_TABLES["*"], _TABLES[x])]
+            out.append(js_distance(np.column_stack([own, rows.sum(axis=1) - own.sum(axis=1)]), refs[x, "words"]))
+    return np.min(out, axis=0) if out else np.zeros(len(rows))
+
+
 def _lang(column: pa.Array) -> np.ndarray:
     return np.array([x if x in COMMON else "*" for x in column.to_pylist()], object)
 
@@ -186,8 +196,11 @@ def judge(docs: DataFrame, least_words: int = 50, most_chars: float = 0.28, most
                     of = np.flatnonzero(mine == x)
                     if refs[x, "chars"].sum():
                         d_chars[of] = js_distance(chars[of], refs[x, "chars"])
-                    if refs[x, "words"].sum() and x != "*":
-                        d_words[of] = js_distance(np.stack([words[i] for i in of]), refs[x, "words"])
+                    rows = np.stack([words[i] for i in of])
+                    if x == "*":
+                        d_words[of] = nearest(rows, refs)
+                    elif refs[x, "words"].sum():
+                        d_words[of] = js_distance(rows, refs[x, "words"])
                 base = (c["n_words"] < 20) | (100 * c["n_repeat_words"] > 30 * c["n_words"])
                 judged = c["n_words"] >= least_words
                 kept = ~base & ~(judged & ((d_chars > most_chars) | (d_words > most_words)))
