@@ -238,17 +238,9 @@ def test_js_distance():
 # 5 lines
 
 
-def line_classes(rows, most, least):
+def line_classes(rows, least):
     lines = {(i, k): line_dedup.normalised(x) for i, t in rows for k, x in enumerate((t or "").split("\n"))}
     names = sorted({x for x in lines.values() if x})
-    import pyarrow as pa
-
-    from tracefl.llm.line_dedup import _lanes
-
-    sims = []
-    for x in names:
-        b = next(iter(blocks(pa.array([x]))))
-        sims.append(int(_lanes(b.hash, np.array([0, len(b.hash)]))[0]))
     root = {x: x for x in names}
 
     def find(x):
@@ -258,7 +250,7 @@ def line_classes(rows, most, least):
 
     for a in range(len(names)):
         for b in range(a + 1, len(names)):
-            if (sims[a] ^ sims[b]).bit_count() <= most and find(names[a]) != find(names[b]) and distance(names[a], names[b]) <= (1 - least) * max(len(names[a]), len(names[b])) + 1e-9:
+            if find(names[a]) != find(names[b]) and distance(names[a], names[b]) <= (1 - least) * max(len(names[a]), len(names[b])) + 1e-9:
                 root[find(names[a])] = find(names[b])
     return lines, {x: find(x) for x in names}
 
@@ -285,7 +277,7 @@ def test_line_dedup(spark):
     rows = [(i, "\n".join(rng.choice([x, vary(x), vary(vary(x))]) for x in rng.sample(base_lines, 6)) + rng.choice(["", "\n", "\n\n..."])) for i in range(30)]
     rows += [(100, "und " * 50), (101, "und " * 55), (102, "und " * 400), (103, None), (104, ""), (105, "b a c d"), (106, "d c b a")]
     df = spark.createDataFrame([(i, t, 1) for i, t in rows], "doc_id long, text string, class_id int")
-    lines, cls = line_classes(rows, line_dedup.MOST, line_dedup.SIMILARITY)
+    lines, cls = line_classes(rows, line_dedup.SIMILARITY)
     got = {(r["doc_id"], r["line_no"]): r for r in line_dedup.resolve(df).collect()}
     assert got.keys() == lines.keys()
     first, pairs = {}, set()
