@@ -14,12 +14,15 @@ Canonical JSON: keys in code point order, no spaces, no escapes but those that J
 
 Defined results: a call without a result has status `pending`, a result without a call `orphan`, one identifier used
 twice in a conversation links each of its calls with the first of its results by turn; null identifiers never link; unknown tools,
-arguments that aren't JSON objects and null arguments are errors, not failures; empty tables give empty tables.
+arguments that aren't JSON objects, nest deeper than the reader goes or hold NaN or infinite numbers, null arguments, and types that the schema
+language lacks are errors, not failures; lone surrogates are escaped; equal calls are rows of their own; further columns don't count; empty tables give empty tables.
 """
 
 from __future__ import annotations
 
 import json
+import math
+import re
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -31,14 +34,35 @@ from .common import cut_lineage, split_join
 _TYPES = {"object": dict, "array": list, "string": str, "boolean": bool, "null": type(None)}
 
 
+def escaped(text: str) -> str:
+    """Surrogates without a partner, which UTF-8 can't say, as JSON escapes."""
+    return re.sub("[\ud800-\udfff]", lambda m: f"\\u{ord(m[0]):04x}", text)
+
+
 def canonical(value: object) -> str:
-    return json.dumps(value, ensure_ascii=False, sort_keys=True, separators=(",", ":"))
+    return escaped(json.dumps(value, ensure_ascii=False, sort_keys=True, separators=(",", ":")))
+
+
+def _finite(text: str) -> float:
+    value = float(text)
+    if not math.isfinite(value):
+        raise ValueError(text)
+    return value
+
+
+def parsed(arguments: str) -> tuple[object, str, list[str]]:
+    """(value, its canonical JSON, errors); what isn't JSON, nests too deep to read or holds a number that JSON can't say stays a string."""
+    try:
+        value = json.loads(arguments, parse_float=_finite, parse_constant=_finite)
+        return value, canonical(value), [] if isinstance(value, dict) else ["$: not an object"]
+    except (ValueError, RecursionError):
+        return arguments, canonical(arguments), ["$: not JSON"]
 
 
 def _is(value: object, kind: str) -> bool:
     if kind in ("number", "integer"):
-        return isinstance(value, (int, float)) and not isinstance(value, bool) and (kind == "number" or float(value).is_integer())
-    return isinstance(value, _TYPES[kind])
+        return isinstance(value, (int, float)) and not isinstance(value, bool) and (kind == "number" or isinstance(value, int) or value.is_integer())
+    return kind in _TYPES and isinstance(value, _TYPES[kind])
 
 
 def errors(value: object, schema: dict, at: str = "$") -> list[str]:
@@ -121,6 +145,8 @@ def places(calls: DataFrame) -> DataFrame:
 
 def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict]) -> DataFrame:
     """One row for each call and each orphan result: conv_id, call_id, turn, status, place, step, cyclic, n_errors, first_error and json (canonical)."""
+    calls = calls.select("conv_id", "turn", "call_id", "name", "arguments", "depends_on")
+    results = results.select("conv_id", "turn", "call_id", "content")
     first = results.where("call_id is not null").groupBy("conv_id", "call_id").agg(F.min(F.struct("turn", "content")).alias("r")).select("conv_id", "call_id", F.col("r.turn").alias("r_turn"), F.col("r.content").alias("content"))
     linked = split_join(calls.withColumn("_call", F.lit(True)), first, ["conv_id", "call_id"], "left")
     linked = split_join(linked, places(calls), ["conv_id", "call_id"], "left")
@@ -138,11 +164,7 @@ def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict]) -> Data
                     first_error.append(None)
                     text.append(canonical({"id": call_id, "result": content}))
                     continue
-                try:
-                    value = json.loads(arguments) if arguments is not None else None
-                    found = [] if isinstance(value, dict) else ["$: not an object"]
-                except ValueError:
-                    value, found = arguments, ["$: not JSON"]
+                value, written_, found = parsed(arguments) if arguments is not None else (None, "null", ["$: not an object"])
                 if name not in schemas:
                     found = [f"unknown tool {name}", *found]
                 elif not found:
@@ -150,9 +172,9 @@ def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict]) -> Data
                 done = r_turn is not None
                 status.append("linked" if done else "pending")
                 n.append(len(found))
-                first_error.append(found[0] if found else None)
-                body = {"id": call_id, "name": name, "arguments": value, "depends_on": sorted(set(deps or []))}
-                text.append(canonical(body | ({"result": content} if done else {})))
+                first_error.append(escaped(found[0]) if found else None)
+                rest = {"depends_on": sorted({x for x in deps or [] if x is not None}), "id": call_id, "name": name} | ({"result": content} if done else {})
+                text.append(f'{{"arguments":{written_},{canonical(rest)[1:]}')
             yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(status, pa.string()), pa.array(n, pa.int32()), pa.array(first_error, pa.string()), pa.array(text, pa.string())], ["conv_id", "call_id", "turn", "place", "step", "cyclic", "status", "n_errors", "first_error", "json"])
 
     kind, turn = calls.schema["conv_id"].dataType.simpleString(), calls.schema["turn"].dataType.simpleString()
