@@ -70,12 +70,23 @@ def rules_only(labelled: DataFrame, truth: DataFrame) -> DataFrame:
 
 
 def blocklist(docs: DataFrame, known: DataFrame, n: int = 8) -> DataFrame:
-    """(doc_id, item_id): documents that hold a known passage's first n words in a row; an equi-join on runs of words, not all pairs."""
+    """(doc_id, item_id): documents that hold all words of a known passage in a row.
+
+    An equi-join on runs of n words (of a shorter passage on all its words), never all pairs; where every run is met, the whole
+    passage is looked for. Passages without words are in no document.
+    """
     words = lambda c: F.filter(F.split(c, r"\s+"), lambda w: w != "")
-    grams = lambda a: F.transform(F.sequence(F.lit(1), F.size(a) - n + 1), lambda i: F.concat_ws(" ", F.slice(a, i, n)))
-    d = docs.select("doc_id", words(F.col("text")).alias("w")).where(F.size("w") >= n).select("doc_id", F.explode(F.array_distinct(grams(F.col("w")))).alias("g"))
-    k = known.select("item_id", words(F.col("text")).alias("w")).where(F.size("w") >= n).select("item_id", F.concat_ws(" ", F.slice("w", 1, n)).alias("g"))
-    return d.join(k, "g").select("doc_id", "item_id").distinct()
+    grams = lambda a, m: F.transform(F.sequence(F.lit(1), F.size(a) - m + 1), lambda i: F.concat_ws(" ", F.slice(a, i, m)))
+    d = docs.select("doc_id", words(F.col("text")).alias("w"))
+    k = known.select("item_id", words(F.col("text")).alias("w")).where(F.size("w") > 0).withColumn("m", F.least(F.size("w"), F.lit(n)))
+    runs = k.select("item_id", "m", F.array_distinct(grams(F.col("w"), F.col("m"))).alias("g"))
+    lengths = F.array(*[F.lit(r["m"]) for r in k.select("m").distinct().collect()] or [F.lit(n)])  # n lengths at most
+    own = d.select("doc_id", "w", F.explode(lengths).alias("m")).where(F.size("w") >= F.col("m"))
+    own = own.select("doc_id", F.explode(F.array_distinct(grams(F.col("w"), F.col("m")))).alias("g"))
+    met = own.join(runs.select("item_id", F.size("g").alias("runs"), F.explode("g").alias("g")), "g").groupBy("doc_id", "item_id", "runs").agg(F.count_distinct("g").alias("n")).where("n = runs")
+    whole = lambda df, key, to: df.select(key, F.concat(F.lit(" "), F.concat_ws(" ", "w"), F.lit(" ")).alias(to))
+    held = met.select("doc_id", "item_id").join(whole(d, "doc_id", "t"), "doc_id").join(whole(k, "item_id", "p"), "item_id")
+    return held.where(F.contains("t", "p")).select("doc_id", "item_id").distinct()
 
 
 def prior_scorer(scripts: DataFrame, seed: str = "prior") -> DataFrame:

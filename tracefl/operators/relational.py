@@ -296,9 +296,9 @@ _events("wn_ratio_total", f"SELECT DISTINCT user_id, event_type, round(count(*)
 # sorts, limits, sets ---------------------------------------------------------------------------------------------------------------
 
 
-@query("so_multi_key_nulls", "SELECT doc_id FROM (SELECT doc_id, toxic FROM documents LEFT JOIN labels USING (doc_id)) ORDER BY toxic DESC NULLS LAST, doc_id LIMIT 80")
+@query("so_multi_key_nulls", "SELECT doc_id FROM (SELECT doc_id, toxic FROM documents LEFT JOIN labels USING (doc_id)) ORDER BY toxic DESC NULLS LAST, doc_id")
 def so_multi_key_nulls(spark: SparkSession, d: str) -> DataFrame:
-    return read(spark, d, "documents").join(read(spark, d, "labels"), "doc_id", "left").orderBy(F.desc_nulls_last("toxic"), "doc_id").limit(80).select("doc_id")
+    return read(spark, d, "documents").join(read(spark, d, "labels"), "doc_id", "left").orderBy(F.desc_nulls_last("toxic"), "doc_id").select("doc_id")
 
 
 @query("so_topk_importance", T + "SELECT api, CAST(sum(n_calls) AS BIGINT) AS n FROM trace GROUP BY 1 ORDER BY n DESC, api LIMIT 20")

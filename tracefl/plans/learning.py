@@ -101,12 +101,12 @@ def x2_local_noise(spark: SparkSession, d: str) -> DataFrame:
     return r6(deltas(spark, d).groupBy("coord").agg((F.sum(F.col("delta") + normal("x2", F.col("participant_id"), F.col("coord"))) / 100).alias("total")), "total")
 
 
-@query("x3_masked_sum", f"WITH {_DELTA} SELECT coord, sum(CAST(round(round(delta, 6) * 1048576.0) AS BIGINT)) / 1048576.0 AS total FROM upd WHERE participant_id <= 40 GROUP BY coord")
+@query("x3_masked_sum", f"WITH {_DELTA} SELECT coord, sum(CAST(round(round(delta, 6) * 1048576.0) AS BIGINT)) / 1048576.0 AS total FROM upd GROUP BY coord")
 def x3_masked_sum(spark: SparkSession, d: str) -> DataFrame:
-    """Forty participants' pairwise masks cancel in the modular sum, bit for bit."""
-    u = r6(deltas(spark, d).where("participant_id <= 40"), "delta")
+    """All participants' masks, with partners in rings of some 64, cancel in the modular sum, bit for bit."""
+    u = r6(deltas(spark, d), "delta")
     full = u.select("participant_id").distinct().crossJoin(u.select("coord").distinct()).join(u, ["participant_id", "coord"], "left").fillna(0.0, ["delta"])
-    return secure_agg.unmask(secure_agg.mask(full, full)).where(F.col("coord").isNotNull())
+    return secure_agg.unmask(secure_agg.mask(full, full, neighbours=3)).where(F.col("coord").isNotNull())
 
 
 @query("u2_update_norms", f"WITH {_DELTA} SELECT round(avg(n), 6) AS mean_norm, round(max(n), 6) AS max_norm, count(*) FILTER (n > 1) AS clipped FROM (SELECT participant_id, sqrt(sum(delta * delta)) AS n FROM upd GROUP BY 1)")
@@ -320,7 +320,7 @@ def b5_rules_only(spark: SparkSession, d: str) -> DataFrame:
     return baselines.rules_only(lab, lab.select("script_id", (F.col("canvas") | F.col("webrtc")).cast("int").alias("truth")))
 
 
-@query("b6_blocklist", r"WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(text, '\s+'), lambda w: w <> '') AS w FROM documents), k AS (SELECT item_id, array_to_string(list_filter(regexp_split_to_array(text, '\s+'), lambda w: w <> '')[1:8], ' ') AS g FROM benchmark WHERE len(list_filter(regexp_split_to_array(text, '\s+'), lambda w: w <> '')) >= 8), g AS (SELECT doc_id, unnest(list_transform(range(1, len(w) - 6), lambda i: array_to_string(w[i:i + 7], ' '))) AS g FROM d WHERE len(w) >= 8) SELECT DISTINCT doc_id, item_id FROM g JOIN k USING (g)")
+@query("b6_blocklist", r"WITH d AS (SELECT doc_id, array_to_string(list_filter(regexp_split_to_array(text, '\s+'), lambda w: w <> ''), ' ') AS t FROM documents), k AS (SELECT item_id, array_to_string(list_filter(regexp_split_to_array(text, '\s+'), lambda w: w <> ''), ' ') AS p FROM benchmark) SELECT DISTINCT doc_id, item_id FROM d, k WHERE p <> '' AND contains(' ' || t || ' ', ' ' || p || ' ')")
 def b6_blocklist(spark: SparkSession, d: str) -> DataFrame:
     return baselines.blocklist(read(spark, d, "documents"), read(spark, d, "benchmark"))
 

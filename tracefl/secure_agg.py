@@ -28,11 +28,11 @@ def pair_mask(a, b, coord, seed: str = "mask"):
     return F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("long")
 
 
-def mask(updates: DataFrame, cohort: DataFrame, seed: str = "mask", neighbours: int | None = None) -> DataFrame:
+def mask(updates: DataFrame, cohort: DataFrame, seed: str = "mask", neighbours: int | None = None, ring_size: int = 64) -> DataFrame:
     """updates (participant_id, coord, delta): masked fixed-point values.
 
     Each participant adds the mask of every pair where it is the lesser and subtracts it where it is the greater.
-    neighbours: a ring with so many partners on each side instead of all pairs.
+    neighbours: so many partners on each side in a ring of about ring_size participants, dealt to rings by a hash, instead of all pairs.
     """
     people = cohort.select("participant_id").distinct()
     if neighbours is None:
@@ -40,9 +40,12 @@ def mask(updates: DataFrame, cohort: DataFrame, seed: str = "mask", neighbours:
     else:
         from pyspark.sql import Window
 
-        ring = people.withColumn("i", F.row_number().over(Window.orderBy("participant_id")) - 1).withColumn("n", F.count("*").over(Window.partitionBy()))
+        rings = max(1, people.count() // ring_size)
+        own = Window.partitionBy("ring")
+        ring = people.withColumn("ring", F.pmod(F.xxhash64("participant_id"), F.lit(rings)))
+        ring = ring.withColumn("i", F.row_number().over(own.orderBy("participant_id")) - 1).withColumn("n", F.count("*").over(own))
         step = ring.withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(neighbours)))).withColumn("to", (F.col("i") + F.col("j")) % F.col("n"))
-        pairs = step.alias("x").join(ring.alias("y"), F.col("x.to") == F.col("y.i")).select(F.least("x.participant_id", "y.participant_id").alias("lo"), F.greatest("x.participant_id", "y.participant_id").alias("hi")).where("lo < hi").distinct()
+        pairs = step.alias("x").join(ring.alias("y"), (F.col("x.ring") == F.col("y.ring")) & (F.col("x.to") == F.col("y.i"))).select(F.least("x.participant_id", "y.participant_id").alias("lo"), F.greatest("x.participant_id", "y.participant_id").alias("hi")).where("lo < hi").distinct()
     coords = updates.select("coord").distinct()
     m = pairs.crossJoin(coords).withColumn("m", pair_mask(F.col("lo"), F.col("hi"), F.col("coord"), seed))
     own = m.select(F.col("lo").alias("participant_id"), "coord", F.col("m").alias("s")).unionAll(m.select(F.col("hi"), "coord", -F.col("m")))

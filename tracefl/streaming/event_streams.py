@@ -62,11 +62,10 @@ def sm_session_scripts(spark: SparkSession, d: str) -> DataFrame:
     return drain(out, "append", spark).select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
 
 
-@query("sm_watermark_dedup", "SELECT DISTINCT event_type, user_id FROM events WHERE event_id < (SELECT min(event_id) + 400 FROM events)")
+@query("sm_watermark_dedup", "SELECT DISTINCT event_type, user_id FROM events")
 def sm_watermark_dedup(spark: SparkSession, d: str) -> DataFrame:
-    least = read(spark, d, "events").agg(F.min("event_id")).first()[0]
     s, _ = arrivals(spark, d)
-    return drain(s.where(F.col("event_id") < least + 400).withWatermark("ts", "400 days").dropDuplicatesWithinWatermark(["event_type", "user_id"]), "append", spark).select("event_type", "user_id")
+    return drain(s.withWatermark("ts", "400 days").dropDuplicatesWithinWatermark(["event_type", "user_id"]), "append", spark).select("event_type", "user_id")
 
 
 @query("sm_output_complete", "SELECT event_type, count(*) AS n FROM events GROUP BY 1")
