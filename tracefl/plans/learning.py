@@ -101,10 +101,11 @@ def x2_local_noise(spark: SparkSession, d: str) -> DataFrame:
     return r6(deltas(spark, d).groupBy("coord").agg((F.sum(F.col("delta") + normal("x2", F.col("participant_id"), F.col("coord"))) / 100).alias("total")), "total")
 
 
-@query("x3_masked_sum", f"WITH {_DELTA} SELECT coord, sum(CAST(round(round(delta, 6) * 1048576.0) AS BIGINT)) / 1048576.0 AS total FROM upd GROUP BY coord")
+@query("x3_masked_sum", "WITH upd AS (SELECT o_custkey AS participant_id, CAST(o_orderkey % 8 AS INT) AS coord, floor(round(sum(o_totalprice) * 100) / 100) / 1e6 - 0.5 AS delta FROM orders GROUP BY 1, 2) SELECT coord, sum(CAST(round(delta * 1048576.0) AS BIGINT)) / 1048576.0 AS total FROM upd GROUP BY coord")
 def x3_masked_sum(spark: SparkSession, d: str) -> DataFrame:
-    """All participants' masks, with partners in rings of some 64, cancel in the modular sum, bit for bit."""
-    u = r6(deltas(spark, d), "delta")
+    """All participants' masks, with partners in rings of some 64, cancel in the modular sum, bit for bit. Whole units of the price, so that no order of the sums shows."""
+    whole = F.floor(F.round(F.sum("o_totalprice") * 100) / 100) / 1e6 - 0.5
+    u = read(spark, d, "orders").groupBy(F.col("o_custkey").alias("participant_id"), (F.col("o_orderkey") % 8).cast("int").alias("coord")).agg(whole.alias("delta"))
     full = u.select("participant_id").distinct().crossJoin(u.select("coord").distinct()).join(u, ["participant_id", "coord"], "left").fillna(0.0, ["delta"])
     return secure_agg.unmask(secure_agg.mask(full, full, neighbours=3)).where(F.col("coord").isNotNull())
 
