@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import collections
+import functools
 import hashlib
 import json
 import random
@@ -122,6 +123,52 @@ def test_mixing_shards_and_splits(docs, none):
     assert mixing.mix(none).count() == 0 and mixing.taken(none).count() == 0
 
 
+def test_mixing_takes_what_the_shards_draw(docs):
+    """A row is taken once for each shard's draw; shards' draws are disjoint and as equal as can be; the order is by shard, then shuffled."""
+    rows = mixing.in_order(mixing.mix(docs, levels=3, block_words=64)).select("doc_id", "source", "size", "pass_no", "block", "shard", "shard_order").collect()
+    assert [(r["shard"], r["shard_order"]) for r in rows] == sorted((r["shard"], r["shard_order"]) for r in rows)
+    owner, words, shards = collections.defaultdict(set), collections.Counter(), collections.defaultdict(list)
+    for r in rows:
+        owner[r["source"], r["pass_no"], r["block"]].add(r["shard"])
+        words[r["doc_id"], r["source"], r["size"]] += r["size"]
+        shards[r["doc_id"], r["source"], r["size"]].append(r["shard"])
+    assert all(len(s) == 1 for s in owner.values())
+    for r in mixing.taken(docs, levels=3, block_words=64).collect():
+        key = r["doc_id"], r["source"], r["size"]
+        assert r["taken"] == words[key] and r["shards"] == sorted(shards[key])
+
+
+def test_mixing_tree_is_hypergeometric(spark):
+    """Quotas split exactly, with the mean and variance of draws without replacement."""
+    quota = spark.createDataFrame([("a", 30), ("b", 50), ("c", 20), ("d", 0)], "colour string, n long")
+    seeds, got = range(80), collections.defaultdict(list)
+    everything = functools.reduce(lambda x, y: x.unionAll(y), [mixing._splits(quota, 1, seed).withColumn("seed", F.lit(seed)) for seed in seeds])
+    by = collections.defaultdict(list)
+    for r in everything.collect():
+        by[r["seed"], r["colour"]].append((r["shard"], r["lo"], r["hi"]))
+    for (seed, colour), parts in by.items():
+        (_, lo, mid), (_, mid2, hi) = sorted(parts)
+        assert lo == 0 and mid == mid2 and hi == {"a": 30, "b": 50, "c": 20, "d": 0}[colour]
+        got[colour].append(mid)
+    assert all(sum(got[c][i] for c in got) == 50 for i in range(len(seeds)))
+    for c, n in (("a", 30), ("b", 50), ("c", 20)):
+        var = n * 0.25 * (100 - n) / 99
+        assert abs(np.mean(got[c]) - n / 2) < 4 * (var / len(seeds)) ** 0.5
+        assert 0.5 * var < np.var(got[c]) < 1.7 * var
+
+
+def test_mixing_blocks_are_bounded(docs, monkeypatch):
+    """With few blocks allowed the targets are met all the same."""
+    monkeypatch.setattr(mixing, "MOST_BLOCKS", 8)
+    rows = mixing.taken(docs, block_words=16).collect()
+    got, goal, most = collections.Counter(), {}, collections.Counter()
+    for r in rows:
+        got[r["source"]] += r["taken"]
+        goal[r["source"]] = r["target"]
+        most[r["source"]] = max(most[r["source"]], r["size"])
+    assert all(abs(got[s] - goal[s]) <= most[s] + 1 for s in goal)
+
+
 # 2 exact dedup
 
 

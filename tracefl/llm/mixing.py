@@ -2,18 +2,20 @@
 
 Every source gets a target in words: the budget shared by weight, where no source gets
 more than ``most_passes`` times its size and the excess is shared anew. A source is cut
-into blocks by a hash of its rows. A target of t passes takes every block floor(t)
-times, and of a further, permuted pass the first blocks up to the rest of the target:
-whole blocks by prefix sums over super-blocks, then over the blocks of one super-block,
-and in the block at the border the rows up to the target. So no sum runs over more
-rows than a block has, or more blocks than a super-block has, however hot the source.
-
-The drawn blocks are the balls of an urn with one colour for each source. A binary tree
-deals them to the output shards: at each node, each source's exact quota splits by a
-multivariate hypergeometric draw (selection sampling over the balls, in one row
-for each node, from seeded hashes), and a source's permuted blocks are then cut at the
-quotas' running sums, so the shards get disjoint blocks with exact counts. Within a shard
-rows are ordered by a hash (the local shuffle).
+into blocks by a hash of its rows and its blocks are permuted by another. Its quota is the number of
+draws that reaches the target: all blocks floor(t) times for t passes, then as many of the permuted blocks
+as hold the rest of the target (prefix sums over super-blocks, then over the blocks of one super-block,
+so no sum runs over more than a share of a hot source).
+
+The quotas are an urn with one colour for each source. A binary tree splits them among the output shards: at
+each node, each source's exact quota splits by a multivariate hypergeometric draw (selection sampling in
+one row for each node, from seeded hashes). A shard's quota of a source is a range of the source's permuted blocks,
+pass after pass; the ranges of the shards are disjoint and meet. A block is taken as often as ranges
+hold it, in the shards of those ranges, and not at all if none does. Of the last block of a quota only
+the rows up to the target are taken. Within a shard rows are ordered by a hash (the local shuffle).
+
+A block has ``block_words`` words in the mean, or more where all sources together would have over ``MOST_BLOCKS`` blocks; so
+an urn has at most 2 * MOST_BLOCKS * most_passes balls and some for each source, at any size.
 
 Defined results: a null text has size 0; a null source is a source of its own, last in order;
 equal rows are dealt as one row each; sources without words get target 0; an empty table
@@ -26,9 +28,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, hash32, split_join, written
+from .common import WORD, buckets, hash32, split_join, written
 
 SUPER = 64
+MOST_BLOCKS = 1 << 15
 ADDED = ("size", "source_size", "target", "taken", "pass_no", "block", "shard", "shard_order")
 
 
@@ -64,35 +67,21 @@ def _narrow(docs: DataFrame, seed: int, text: str, source: str, key: str) -> Dat
     return written(rows.withColumn("h", hash32(seed, "row", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))))
 
 
-def _decide(rows: DataFrame, seed: int, block_words: int, **shares) -> DataFrame:
-    """rows with source_size, target, block, full (passes) and extra (1 if in the permuted pass). block_words bounds a block's mean size."""
-    goal = targets(rows.groupBy("source").agg(F.sum(F.col("size") * F.col("m")).alias("source_size")), **shares)
-    # blocks of a source: a power of two, by the leading bits of the rows' hash
-    bits = F.greatest(F.lit(0), F.least(F.lit(31), F.ceil(F.log2(F.greatest(F.lit(1.0), F.col("source_size") / F.lit(float(block_words)))))))
-    goal = goal.select("*", bits.cast("int").alias("bits"), F.least(F.col("target") / F.greatest(F.col("source_size"), F.lit(1)), F.lit(1e6)).alias("passes"))
-    goal = goal.select("*", F.floor("passes").cast("long").alias("full")).withColumn("rest", F.col("target") - F.col("full") * F.col("source_size"))
-    goal = written(goal.select("source", "source_size", "target", "bits", "full", "rest"))  # a row for each source; several branches use it
-    # each row of `goal` stands for a source; the rows of a hot source are dealt by their block
-    placed = split_join(rows, goal, ["source"]).withColumn("block", F.expr("shiftright(h, 32 - bits)"))
-    placed = placed.withColumn("sb", F.pmod(hash32(seed, "super", F.col("block")), F.lit(SUPER)).cast("int"))
-    sums = placed.groupBy("source", "sb", "block").agg(F.sum(F.col("size") * F.col("m")).alias("words"), F.first("rest").alias("rest"))
+def _blocks(placed: DataFrame, seed: int) -> DataFrame:
+    """(source, block, rank, before, full, rest, whole, border): a source's permuted blocks, their place and the words before them; of the last,
+    partial pass: whether it takes the block whole, or ends within it. placed: rows with source, sb, block, h, doc_id, size, m, full, rest."""
+    sums = placed.groupBy("source", "sb", "block").agg(F.sum(F.col("size") * F.col("m")).alias("words"), F.min(F.struct("h", "doc_id", "size", "m")).alias("lead"), F.first("full").alias("full"), F.first("rest").alias("rest"))
+    supers = sums.groupBy("source", "sb").agg(F.sum("words").alias("sb_words"), F.count("*").alias("sb_blocks"))
+    ahead = Window.partitionBy("source").orderBy("sb").rowsBetween(Window.unboundedPreceding, -1)
+    supers = supers.select("source", "sb", *[F.coalesce(F.sum(c).over(ahead), F.lit(0)).alias(f"{c}_before") for c in ("sb_words", "sb_blocks")])
     order = hash32(seed, "block", F.coalesce(F.col("source"), F.lit("\x00null")), F.col("block"))
-    # which super-block holds the border, then which block
-    supers = sums.groupBy("source", "sb").agg(F.sum("words").alias("sb_words"))
-    w_super = Window.partitionBy("source").orderBy("sb").rowsBetween(Window.unboundedPreceding, -1)
-    supers = supers.withColumn("sb_before", F.coalesce(F.sum("sb_words").over(w_super), F.lit(0)))
-    w_block = Window.partitionBy("source", "sb").orderBy("o", "block").rowsBetween(Window.unboundedPreceding, -1)
-    blocks = split_join(sums.withColumn("o", order), supers.drop("sb_words"), ["source", "sb"])
-    blocks = blocks.withColumn("before", F.col("sb_before") + F.coalesce(F.sum("words").over(w_block), F.lit(0)))
-    blocks = blocks.select("source", "block", "before", (F.col("before") + F.col("words") <= F.col("rest")).alias("whole"), ((F.col("before") < F.col("rest")) & (F.col("before") + F.col("words") > F.col("rest"))).alias("border"))
-    blocks = written(blocks)  # a row for each block
-    drawn = split_join(placed, blocks, ["source", "block"])
-    # rows of the blocks at the border, one block a source at most: taken while that brings the sum nearer to the target
-    w_row = Window.partitionBy("source", "block").orderBy("h", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
-    border = drawn.where("border").withColumn("sofar", F.col("before") + F.coalesce(F.sum(F.col("size") * F.col("m")).over(w_row), F.lit(0)))
-    border = border.withColumn("extra", (F.col("sofar") + F.col("size") * F.col("m") / 2 <= F.col("rest")).cast("int")).drop("sofar")
-    out = drawn.where("not border").withColumn("extra", F.col("whole").cast("int")).unionByName(border)
-    return out.select("doc_id", "source", "size", "m", "h", "source_size", "target", "block", "full", "extra", (F.col("size") * (F.col("full") + F.col("extra"))).alias("taken"))
+    permuted = Window.partitionBy("source", "sb").orderBy("o", "block")
+    rows = split_join(sums.withColumn("o", order), supers, ["source", "sb"])
+    rows = rows.withColumn("before", F.col("sb_words_before") + F.coalesce(F.sum("words").over(permuted.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    rows = rows.withColumn("rank", F.col("sb_blocks_before") + F.row_number().over(permuted) - 1)
+    end = F.col("before") + F.col("words")
+    some = F.col("before") + F.col("lead.size") * F.col("lead.m") / 2 <= F.col("rest")  # its first row is taken; no other is without it
+    return rows.select("source", "block", "rank", "before", "full", "rest", (end <= F.col("rest")).alias("whole"), ((F.col("before") < F.col("rest")) & (end > F.col("rest")) & some).alias("border"))
 
 
 def _seat(seed: int, level: int):
@@ -128,37 +117,64 @@ def _splits(quota: DataFrame, levels: int, seed: int) -> DataFrame:
     return node.select("node", F.explode("c").alias("x")).select(F.col("x.colour").alias("colour"), F.col("node").alias("shard"), F.col("x.lo").alias("lo"), (F.col("x.lo") + F.col("x.n")).alias("hi"))
 
 
-def deal(docs: DataFrame, levels: int = 3, seed: int = 17, block_words: int = 1 << 15, text: str = "text", source: str = "source", key: str = "doc_id", **shares) -> tuple[DataFrame, DataFrame]:
-    """(decisions for each distinct (doc_id, source, size); its drawn copies with pass_no, block and shard)."""
-    chosen = written(_decide(_narrow(docs, seed, text, source, key), seed, block_words, **shares))
-    copies = chosen.withColumn("pass_no", F.explode(F.when(F.col("full") + F.col("extra") > 0, F.sequence(F.lit(1).cast("long"), F.col("full") + F.col("extra"))).otherwise(F.array().cast("array<bigint>"))))
-    name = F.coalesce(F.col("source"), F.lit("\x00null"))
-    balls = written(copies.groupBy("source", "pass_no", "block").agg(F.lit(1).alias("one")).drop("one")).withColumn("colour", name)
-    # a ball's place among its colour's: within a hash range first, so that no window holds a whole source
-    balls = balls.withColumn("r", hash32(seed, "deal", name, F.col("pass_no"), F.col("block"))).withColumn("sb", (F.col("r") % SUPER).cast("int"))
-    counts = balls.groupBy("colour", "sb").agg(F.count("*").alias("n"))
-    counts = counts.withColumn("before", F.coalesce(F.sum("n").over(Window.partitionBy("colour").orderBy("sb").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    balls = split_join(balls, counts.drop("n"), ["colour", "sb"])
-    balls = balls.withColumn("i", F.col("before") + F.row_number().over(Window.partitionBy("colour", "sb").orderBy("r", "pass_no", "block")) - 1)
-    ranges = _splits(counts.groupBy("colour").agg(F.sum("n").alias("n")), levels, seed)
-    per_colour = ranges.groupBy("colour").agg(F.array_sort(F.collect_list(F.struct("lo", "hi", "shard"))).alias("ranges"))
-    balls = split_join(balls, per_colour, ["colour"]).withColumn("shard", F.filter("ranges", lambda x: (x["lo"] <= F.col("i")) & (F.col("i") < x["hi"]))[0]["shard"])
-    return chosen, split_join(copies, balls.select("source", "pass_no", "block", "shard"), ["source", "pass_no", "block"])
+def _draws(blocks: DataFrame, levels: int, seed: int) -> DataFrame:
+    """(source, block, before, draws): the draws of a block, from the shards' ranges of its source's permuted blocks; `part` marks one that takes some rows only."""
+    colour = F.coalesce(F.col("source"), F.lit("\x00null"))
+    quota = blocks.groupBy(colour.alias("colour")).agg(F.count("*").alias("n_blocks"), (F.first("full") * F.count("*") + F.sum((F.col("whole") | F.col("border")).cast("long"))).alias("n"))
+    quota = written(quota)  # a row for each source
+    ranges = _splits(quota.select("colour", "n"), levels, seed)
+    ranges = ranges.groupBy("colour").agg(F.array_sort(F.collect_list(F.struct("lo", "hi", "shard"))).alias("ranges"))  # one for each shard
+    held = split_join(split_join(blocks.withColumn("colour", colour), quota.drop("n"), ["colour"]), ranges, ["colour"])
+
+    def draw(p: Column) -> Column:
+        at = p * F.col("n_blocks") + F.col("rank")
+        hit = F.filter("ranges", lambda x: (x["lo"] <= at) & (at < x["hi"]))
+        return F.struct((p + 1).alias("pass_no"), F.get(hit, F.lit(0))["shard"].alias("shard"), (F.col("border") & (p == F.col("full"))).alias("part"))
+
+    every = F.transform(F.sequence(F.lit(0).cast("long"), F.col("full")), draw)
+    return held.select("source", "block", "before", F.filter(every, lambda x: x["shard"].isNotNull()).alias("draws"))
+
+
+def deal(docs: DataFrame, levels: int = 3, seed: int = 17, block_words: int = 1 << 15, text: str = "text", source: str = "source", key: str = "doc_id", **shares) -> DataFrame:
+    """Each distinct (doc_id, source, size), of which there are m rows, with source_size, target, block and its draws: (pass_no, shard, part)."""
+    rows = _narrow(docs, seed, text, source, key)
+    goal = targets(rows.groupBy("source").agg(F.sum(F.col("size") * F.col("m")).alias("source_size")), **shares)
+    # blocks of a source: a power of two, by the leading bits of the rows' hash
+    mean = F.greatest(F.lit(float(block_words)), F.sum("source_size").over(Window.partitionBy()) / F.lit(float(MOST_BLOCKS)))
+    bits = F.greatest(F.lit(0), F.least(F.lit(31), F.ceil(F.log2(F.greatest(F.lit(1.0), F.col("source_size") / mean)))))
+    goal = goal.select("*", bits.cast("int").alias("bits"), F.least(F.col("target") / F.greatest(F.col("source_size"), F.lit(1)), F.lit(1e6)).alias("passes"))
+    goal = goal.select("*", F.floor("passes").cast("long").alias("full")).withColumn("rest", F.col("target") - F.col("full") * F.col("source_size"))
+    goal = written(goal.select("source", "source_size", "target", "bits", "full", "rest"))  # a row for each source; several branches use it
+    # each row of `goal` stands for a source; the rows of a hot source are dealt by their block
+    placed = split_join(rows, goal, ["source"]).withColumn("block", F.expr("shiftright(h, 32 - bits)"))
+    placed = placed.withColumn("sb", F.pmod(hash32(seed, "super", F.col("block")), F.lit(SUPER)).cast("int"))
+    draws = written(_draws(written(_blocks(placed, seed)), levels, seed))  # a row for each block
+    drawn = split_join(placed, draws, ["source", "block"]).withColumn("cut", F.exists("draws", lambda x: x["part"]))
+    # rows of the blocks that are drawn in part, one block a source at most: taken while that brings the sum nearer to the target
+    w_row = Window.partitionBy("source", "block").orderBy("h", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    cut = drawn.where("cut").withColumn("sofar", F.col("before") + F.coalesce(F.sum(F.col("size") * F.col("m")).over(w_row), F.lit(0)))
+    cut = cut.withColumn("in", F.col("sofar") + F.col("size") * F.col("m") / 2 <= F.col("rest"))
+    cut = cut.withColumn("draws", F.filter("draws", lambda x: ~x["part"] | F.col("in"))).drop("sofar", "in")
+    return drawn.where("not cut").unionByName(cut).select("doc_id", "source", "size", "m", "source_size", "target", "block", "draws")
 
 
 def taken(docs: DataFrame, **how) -> DataFrame:
     """Each row of docs without its text: doc_id, source, size, source_size, target, the words that the mix takes of it, and the shards where."""
-    chosen, dealt = deal(docs, **how)
-    got = dealt.groupBy("doc_id", "source", "size").agg(F.sum("size").alias("taken"), F.array_sort(F.collect_list("shard")).alias("shards"))  # a list of most_passes at most
-    out = split_join(chosen.select("doc_id", "source", "size", "m", "source_size", "target"), got, ["doc_id", "source", "size"], "left")
-    out = out.withColumn("taken", F.coalesce("taken", F.lit(0).cast("long"))).withColumn("m", F.explode(F.sequence(F.lit(1).cast("long"), F.col("m"))))
-    return out.drop("m")
+    out = deal(docs, **how).withColumn("_", F.explode(F.sequence(F.lit(1).cast("long"), F.col("m"))))
+    return out.select("doc_id", "source", "size", "source_size", "target", (F.col("size") * F.size("draws")).alias("taken"), F.array_sort(F.col("draws.shard")).alias("shards"))
 
 
 def mix(docs: DataFrame, levels: int = 3, seed: int = 17, block_words: int = 1 << 15, text: str = "text", source: str = "source", key: str = "doc_id", prefix: str = "", **shares) -> DataFrame:
     """docs in the mix: one row for each time a row is taken, with its pass, block, shard (of 2**levels) and place there."""
-    _, dealt = deal(docs, levels, seed, block_words, text, source, key, **shares)
+    dealt = deal(docs, levels, seed, block_words, text, source, key, **shares)
+    dealt = dealt.withColumn("taken", F.col("size") * F.size("draws")).withColumn("draw", F.explode("draws")).select("*", "draw.pass_no", "draw.shard")
     dealt = dealt.withColumn("shard_order", hash32(seed, "shuffle", F.col("doc_id"), F.col("pass_no")))
     dealt = dealt.select(F.col("doc_id").alias("__k"), F.col("source").alias("__s"), F.col("size").alias("__n"), *[F.col(c).alias(prefix + c) for c in ADDED])
     kept = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in {prefix + a for a in ADDED}], F.col(key).alias("__k"), F.col(source).alias("__s"), word_count(F.col(text)).alias("__n"))
     return split_join(kept, dealt, ["__k", "__s", "__n"]).drop("__k", "__s", "__n")
+
+
+def in_order(mixed: DataFrame, prefix: str = "") -> DataFrame:
+    """The mix as it is to be written: shard after shard in their order, over range partitions, so a large shard spans several files."""
+    by = [prefix + "shard", prefix + "shard_order"]
+    return mixed.repartitionByRange(buckets(mixed.sparkSession), *by).sortWithinPartitions(*by)

@@ -111,7 +111,7 @@ t AS (
   FROM r, l),
 g AS (
   SELECT *, CAST(floor(target / greatest(source_size, 1)) AS BIGINT) AS whole_passes,
-         CAST(greatest(0, least(31, ceil(log2(greatest(1.0, source_size / 32768.0))))) AS INT) AS bits
+         CAST(greatest(0, least(31, ceil(log2(greatest(1.0, source_size / greatest(32768.0, sum(source_size) OVER () / 32768.0)))))) AS INT) AS bits
   FROM t),
 p AS (
   SELECT d.*, source_size, target, whole_passes, target - whole_passes * source_size AS rest, h >> (32 - bits) AS block
