@@ -27,8 +27,8 @@ def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A document that the mix takes twice has two rows."""
-    return mixing.mix(docs, prefix="__mix_").select(*[f"`{c}`" for c in docs.columns])
+    """The mix's rows in the order of their output shards, each shard shuffled; a document that the mix takes twice has two rows."""
+    return mixing.in_order(mixing.mix(docs, prefix="__mix_"), "__mix_").select(*[f"`{c}`" for c in docs.columns])
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
