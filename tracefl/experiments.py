@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from . import catalogue, features, federated, labels, metrics, model, noniid, participants, scaling
 from .carriers import order_trace
 from .federated import Result, Run, TrainConfig, run_of
+from .hashing import py_normal
 from .privacy import BudgetPlan
 
 FLAG_CAPS = {"flag_cap_mean": 0.5, "flag_cap_var": 0.25, "first_flag": catalogue.FIRST_FLAG}
@@ -63,17 +64,19 @@ def limited(case: Case, share: float, urls: int = 20) -> federated.Shards:
     return shards
 
 
-def private_scale(case: Case, w: int, q: float, z: float, urls: int = 20, divisor: str = "stddev", **caps) -> tuple[np.ndarray, np.ndarray]:
-    """(mean, scale) from noised statistics. The cohort of each statistic of a feature is a hash; participants outside of all of them aren't made."""
-    cfg = scaling.ScaleConfig(w, q=q, z=z, divisor=divisor, **{**FLAG_CAPS, **caps})
-    own = participants.cohort(participants.people(case.spark, w), min(1.0, 50 * q), 0, "stat-pool") if q * 50 < 1 else participants.people(case.spark, w)
-    # a pool of 50 cohorts stands for all participants: the two-stage sample has the same expectation, and W stays in the noise
-    cfg = replace(cfg, q=q if q * 50 >= 1 else 1 / 50)
-    shard = virtual(case, urls)(own)
-    long = case.train.select("script_id", F.explode(F.arrays_zip("idx", "val")).alias("p")).select("script_id", F.col("p.idx").alias("feature_id"), F.col("p.val").alias("v"))
-    pool = w if q * 50 >= 1 else 50 * q * w
-    cfg = replace(cfg, participants=max(1, round(pool)))
-    return federated.scale_vectors(scaling.fit(shard, long, catalogue.table(case.spark), cfg).collect(), catalogue.N_FEATURES, divisor)
+def private_scale(case: Case, w: int, q: float, z: float, urls: int = 20, divisor: str = "stddev", ledger=None, **how) -> tuple[np.ndarray, np.ndarray]:
+    """(mean, scale) from noised statistics. Each statistic of each feature has a Poisson cohort of all W; only participants in one are made. Charges the ledger 2F statistics."""
+    cfg = scaling.ScaleConfig(w, q=q, z=z, divisor=divisor, **{**FLAG_CAPS, **how})
+    if ledger is not None:
+        ledger.charge("statistics", q, z, 2 * catalogue.N_FEATURES)
+    table = catalogue.table(case.spark)
+    picks = scaling.drawn_cohorts(table, cfg).cache() if q < 1 else None  # the cohorts' size, some q * W * 2F keys; lost blocks are drawn again alike
+    shard = virtual(case, urls)(participants.people(case.spark, w) if picks is None else picks.select("participant_id"))
+    try:
+        return federated.scale_vectors(scaling.fit(shard, case.train, table, cfg, picks).collect(), catalogue.N_FEATURES, divisor)
+    finally:
+        if picks is not None:
+            picks.unpersist()
 
 
 def scores(case: Case, results: dict[str, Result], runs: dict[str, Run]) -> DataFrame:
@@ -90,8 +93,9 @@ def areas(case: Case, results: dict[str, Result], runs: dict[str, Run]) -> dict[
 
 
 def sweep(case: Case, runs: dict[str, Run], shards: federated.Shards | None = None) -> dict[str, float]:
+    """Areas of simulated runs. Their noise is seeded so that they can be repeated; none of them is a release."""
     everyone = {n: participants.people(case.spark, r.cfg.participants) for n, r in runs.items()}
-    return areas(case, federated.train_many(runs, everyone, shards or virtual(case), case.train), runs)
+    return areas(case, federated.train_many(runs, everyone, shards or virtual(case), case.train, noise=py_normal), runs)
 
 
 def base(w: int, cohort: int = 100, **how) -> TrainConfig:
@@ -117,7 +121,7 @@ def by_budget(case: Case, ws: tuple[int, ...] = (10_000, 100_000, 1_000_000), ep
             cfg = base(w, rounds=rounds)
             z_scale, zs[w, e] = BudgetPlan(e, catalogue.N_FEATURES, rounds, cfg.q).resolve()
             for k in range(seeds):
-                mean, scale = private_scale(case, w, cfg.q, z_scale, seed=f"scale{k}") if z_scale else (case.mean, case.scale)
+                mean, scale = private_scale(case, w, cfg.q, z_scale, seed=f"scale{k}", noise="seeded") if z_scale else (case.mean, case.scale)
                 for s in sets:
                     runs[f"{s}|{w}|{e}|{k}"] = run_of(replace(cfg, z=zs[w, e], seed=f"fl{k}"), mean, scale, catalogue.feature_set(s))
     out = []

@@ -126,8 +126,10 @@ def updates(rows: DataFrame, runs: dict[str, Run], theta: dict[str, np.ndarray],
         x = ((x - run.mean) / run.scale)[:, run.keep]
         y = table["y"].to_numpy().astype(float)
         got, norm, clipped = local_update(x, y, theta[name][at], cfg)
-        if cfg.placement == "local" and cfg.z:
-            got = got + np.array([cfg.z * cfg.clip * py_normal(cfg.seed, "local", round_, who, c) for c in at])
+        if cfg.placement != "central" and cfg.z:
+            # alone, or a share: the expected cohort's shares add up to the server's noise
+            share = 1.0 if cfg.placement == "local" else 1 / math.sqrt(max(1.0, cfg.q * cfg.participants))
+            got = got + np.array([share * cfg.z * cfg.clip * py_normal(cfg.seed, cfg.placement, round_, who, c) for c in at])
         delta = np.zeros(cfg.features + 1)
         delta[at] = got
         return pa.table({"run": [name], "participant_id": [who], "delta": pa.array([delta.tolist()], pa.list_(pa.float64())), "norm": [norm], "clipped": [clipped], "n": [len(y)]})
@@ -163,10 +165,19 @@ def vector_sums(deltas: DataFrame) -> dict[str, tuple[np.ndarray, dict]]:
     return out
 
 
-def train_many(runs: dict[str, Run], everyone: dict[str, DataFrame], shards: Shards, packed: DataFrame, theta0: np.ndarray | None = None, ledger=None, noise: Callable[..., float] = py_normal) -> dict[str, Result]:
-    """Independent runs, one job for each round of all of them. everyone: each run's participants; shards maps (run, participant_id) to (run, participant_id, script_id)."""
+def train_many(runs: dict[str, Run], everyone: dict[str, DataFrame], shards: Shards, packed: DataFrame, theta0: np.ndarray | None = None, ledger=None, noise: Callable[..., float] | None = None) -> dict[str, Result]:
+    """Independent runs, one job for each round of all of them. everyone: each run's participants; shards maps (run, participant_id) to (run, participant_id, script_id).
+
+    The server's noise is the operating system's; a function of keys (`py_normal`) may stand for it in tests and simulation. The local and the
+    distributed placement are simulations: participants' noise is drawn from keys, so that a task may run twice.
+    """
     from .participants import cohort, cohort_fixed
+    from .privacy import SystemNoise
 
+    noise = noise or SystemNoise().normal
+    strange = {r.cfg.placement for r in runs.values()} - {"central", "local", "distributed"}
+    if strange:
+        raise ValueError(f"no placement {strange}")
     out = {name: Result(np.zeros(r.cfg.features + 1) if theta0 is None else theta0.copy()) for name, r in runs.items()}
     live = dict(runs)
     for round_ in range(1, max(r.cfg.rounds for r in runs.values()) + 1):
@@ -191,10 +202,10 @@ def train_many(runs: dict[str, Run], everyone: dict[str, DataFrame], shards: Sha
             total, seen = sums.get(name, (np.zeros(cfg.features + 1), dict.fromkeys(("k", "clipped", "norms", "rows"), 0)))
             below = max(seen["rows"], 1) if cfg.weights == "rows" else (cfg.q * cfg.participants if cfg.denominator == "expected" else max(seen["k"], 1))
             total = total / below
-            if cfg.z and cfg.placement != "local":
+            if cfg.z and cfg.placement == "central":
                 sigma = cfg.z * cfg.clip / (cfg.q * cfg.participants)
                 total[at] += sigma * np.array([noise(cfg.seed, "round", round_, c) for c in at])
-            if ledger is not None and cfg.z:
+            if ledger is not None:
                 ledger.charge(f"{name} round {round_}", cfg.q, cfg.z)
             out[name].theta = out[name].theta + total
             moved = float(np.linalg.norm(total)) / max(1e-12, float(np.linalg.norm(out[name].theta)))

@@ -314,7 +314,7 @@ def _fit_sql(q: float, z: float, pooling: str = "mean_of_local") -> str:
 
 def _fit(spark: SparkSession, d: str, **how) -> DataFrame:
     shard, feats, w = natural_case(spark, d)
-    return r6(scaling.fit(shard, feats, catalogue.table(spark), scaling.ScaleConfig(w, **how)), "mean", "var")
+    return r6(scaling.fit(shard, feats, catalogue.table(spark), scaling.ScaleConfig(w, noise="seeded", **how)), "mean", "var")
 
 
 @query("n3_private_scaling", _fit_sql(0.5, 1.0))

@@ -40,10 +40,9 @@ def flagship(spark: SparkSession, d: str) -> DataFrame:
         w, rounds = 2_000, 3
         cfg = experiments.base(w, rounds=rounds)
         z = privacy.BudgetPlan(10.0, NF, rounds, cfg.q).resolve()[0]
-        mean, scale = experiments.private_scale(case, w, cfg.q, z)
+        ledger = privacy.Ledger(10.0)
+        mean, scale = experiments.private_scale(case, w, cfg.q, z, ledger=ledger)
         run = federated.run_of(federated.replace(cfg, z=z), mean, scale)
-        ledger = privacy.Ledger(11.0)
-        ledger.charge("statistics", cfg.q, z, 2 * NF)
         got = federated.train_many({"run": run}, {"run": participants.people(spark, w)}, experiments.virtual(case), case.train, ledger=ledger)
         return model.score_packed(case.test, got["run"].theta, mean, scale)
 

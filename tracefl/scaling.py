@@ -1,17 +1,28 @@
 """Private federated scaling: noised means and variances of features from participants' capped local statistics.
 
-Sparse throughout: zeros enter through a participant's row count alone. A feature's cohort is a hash of
-(statistic, feature, participant), tested on the keys before any value is fetched.
+Sparse throughout: zeros enter through a participant's row count alone. A feature's cohort of each statistic is a Poisson
+sample of all participants, independent of every other's. Cohorts are made first, from keys; only the chosen participants' rows
+are counted, and only the features they were chosen for are summed. ``drawn_cohorts`` costs as many keys as it draws; ``cohorts`` tests a hash of
+each key and can be repeated in SQL.
 """
 
 from __future__ import annotations
 
+import hashlib
+import math
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .features import pack
 from .hashing import normal, uniform
+from .privacy import SystemNoise
+
+CHUNK = 1 << 16
 
 
 @dataclass(frozen=True)
@@ -29,6 +40,7 @@ class ScaleConfig:
     divisor: str = "stddev"  # or "variance"
     min_scale: float = 0.02
     seed: str = "scale"
+    noise: str = "system"  # or "seeded": a function of keys, for tests and simulation; whoever knows the seed can take it away
     off: bool = False
 
 
@@ -48,23 +60,88 @@ def local_sums(shard: DataFrame, feats: DataFrame) -> DataFrame:
     return s.join(n, "participant_id")
 
 
-def local_stats(shard: DataFrame, feats: DataFrame, cfg: ScaleConfig) -> DataFrame:
-    """(participant_id, feature_id, mu, var, raw2), capped. A single row has variance 0."""
-    s = local_sums(shard, feats)
+def _stats(s: DataFrame, cfg: ScaleConfig, *more: str) -> DataFrame:
     var = F.when(F.col("n") > 1, F.greatest((F.col("s2") - F.col("s1") * F.col("s1") / F.col("n")) / (F.col("n") - 1), F.lit(0.0))).otherwise(0.0)
-    return s.select("participant_id", "feature_id", _cap(F.col("s1") / F.col("n"), _caps(cfg, "mu"), cfg.clip).alias("mu"), _cap(var, _caps(cfg, "var"), cfg.clip).alias("var"), _cap(F.col("s2") / F.col("n"), _caps(cfg, "var"), cfg.clip).alias("raw2"))
+    return s.select("participant_id", "feature_id", _cap(F.col("s1") / F.col("n"), _caps(cfg, "mu"), cfg.clip).alias("mu"), _cap(var, _caps(cfg, "var"), cfg.clip).alias("var"), _cap(F.col("s2") / F.col("n"), _caps(cfg, "var"), cfg.clip).alias("raw2"), *more)
 
 
-def fit(shard: DataFrame, feats: DataFrame, catalogue: DataFrame, cfg: ScaleConfig) -> DataFrame:
-    """(feature_id, mean, var) for every feature of the catalogue, also for those that nobody has: their rows are noise alone."""
-    loc = local_stats(shard, feats, cfg)
+def local_stats(shard: DataFrame, feats: DataFrame, cfg: ScaleConfig) -> DataFrame:
+    """(participant_id, feature_id, mu, var, raw2), capped. A single row has variance 0."""
+    return _stats(local_sums(shard, feats), cfg)
+
+
+def cohorts(people: DataFrame, catalogue: DataFrame, cfg: ScaleConfig) -> DataFrame:
+    """(participant_id, in_mu, in_var): the features whose mean's and variance's cohort a participant is in, by hashes. Who is in none is left out."""
+    ids = F.array(*[F.lit(r[0]) for r in catalogue.select("feature_id").collect()])  # as many as the catalogue has, whatever the data
+    pick = lambda tag: F.filter(ids, lambda f: uniform(cfg.seed, tag, f, F.col("participant_id")) < cfg.q)
+    return people.select("participant_id", pick("mu").alias("in_mu"), pick("var").alias("in_var")).where("size(in_mu) + size(in_var) > 0")
+
+
+def drawn_cohorts(catalogue: DataFrame, cfg: ScaleConfig) -> DataFrame:
+    """The same for participants 0 to W - 1, by draws: of each chunk of participants a binomial number, at distinct places. Costs q * W, not W, for each statistic."""
+    w, q, seed = cfg.participants, cfg.q, cfg.seed
+    chunks = F.sequence(F.lit(0), F.lit(math.ceil(w / CHUNK) - 1))
+    keys = catalogue.select("feature_id", F.explode(F.array(F.lit("mu"), F.lit("var"))).alias("tag")).select("feature_id", "tag", F.explode(chunks).alias("chunk"))
+
+    def draw(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for feature, tag, chunk in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+                rng = np.random.default_rng(int.from_bytes(hashlib.md5(f"{seed}|{tag}|{feature}|{chunk}".encode()).digest()))
+                n = min(CHUNK, w - chunk * CHUNK)
+                who = chunk * CHUNK + rng.choice(n, rng.binomial(n, q), replace=False)
+                yield pa.RecordBatch.from_arrays([pa.array(who, pa.int64()), pa.array([feature] * len(who), batch.column(0).type), pa.array([tag] * len(who), pa.string())], ["participant_id", "feature_id", "tag"])
+
+    kind = catalogue.schema["feature_id"].dataType.simpleString()
+    drawn = keys.repartition("feature_id", "tag", "chunk").mapInArrow(draw, f"participant_id long, feature_id {kind}, tag string")
+    of = lambda tag: F.collect_list(F.when(F.col("tag") == tag, F.col("feature_id")))
+    return drawn.groupBy("participant_id").agg(of("mu").alias("in_mu"), of("var").alias("in_var"))
+
+
+def chosen_stats(shard: DataFrame, packed: DataFrame, picks: DataFrame, cfg: ScaleConfig) -> DataFrame:
+    """local_stats of the chosen (participant, feature) keys alone, with take_mu and take_var. packed: (script_id, idx, val)."""
+    own = shard.select("participant_id", "script_id").join(picks, "participant_id")
+    n = own.groupBy("participant_id").agg(F.count("*").alias("n"))
+    either = lambda f: F.array_contains("in_mu", f) | F.array_contains("in_var", f)
+    hit = own.join(packed.select("script_id", "idx", "val"), "script_id").select("participant_id", "in_mu", "in_var", F.explode(F.filter(F.arrays_zip("idx", "val"), lambda x: either(x["idx"]))).alias("x"))
+    hit = hit.select("participant_id", F.col("x.idx").alias("feature_id"), F.col("x.val").alias("v"), F.array_contains("in_mu", F.col("x.idx")).alias("take_mu"), F.array_contains("in_var", F.col("x.idx")).alias("take_var"))
+    s = hit.groupBy("participant_id", "feature_id", "take_mu", "take_var").agg(F.sum("v").alias("s1"), F.sum(F.col("v") * F.col("v")).alias("s2"))
+    return _stats(s.join(n, "participant_id"), cfg, "take_mu", "take_var")
+
+
+def _noise(catalogue: DataFrame, cfg: ScaleConfig) -> DataFrame:
+    """(feature_id, g_mu, g_var): a standard normal for each statistic."""
+    if cfg.noise == "seeded":
+        return catalogue.select("feature_id", *[normal(cfg.seed, f"noise-{t}", F.col("feature_id")).alias(f"g_{t}") for t in ("mu", "var")])
+    if cfg.noise != "system":
+        raise ValueError(f"no noise of kind {cfg.noise}")
+    g = SystemNoise().normal
+    rows = [(r[0], g(), g()) for r in catalogue.select("feature_id").collect()]  # drawn once, on the driver: a task that runs twice would draw twice
+    kind = catalogue.schema["feature_id"].dataType.simpleString()
+    return catalogue.sparkSession.createDataFrame(rows, f"feature_id {kind}, g_mu double, g_var double")
+
+
+def fit(shard: DataFrame, feats: DataFrame, catalogue: DataFrame, cfg: ScaleConfig, picks: DataFrame | None = None) -> DataFrame:
+    """(feature_id, mean, var) for every feature of the catalogue, also for those that nobody has: their rows are noise alone.
+
+    feats: (script_id, feature_id, v), or packed (script_id, idx, val). picks: the cohorts, where they were made before the shards.
+    """
     second = "var" if cfg.pooling == "mean_of_local" else "raw2"
-    pick = lambda tag: F.lit(True) if cfg.q >= 1 else uniform(cfg.seed, tag, F.col("feature_id"), F.col("participant_id")) < cfg.q
-    sums = loc.groupBy("feature_id").agg(F.sum(F.when(pick("mu"), F.col("mu"))).alias("a"), F.sum(F.when(pick("var"), F.col(second))).alias("b"))
+    packed = "idx" in feats.columns
+    if cfg.q < 1:
+        picks = cohorts(shard.select("participant_id").distinct(), catalogue, cfg) if picks is None else picks
+        loc = chosen_stats(shard, feats if packed else pack(feats), picks, cfg)
+        mu, var = F.when(F.col("take_mu"), F.col("mu")), F.when(F.col("take_var"), F.col(second))
+    else:
+        long = feats.select("script_id", F.explode(F.arrays_zip("idx", "val")).alias("p")).select("script_id", F.col("p.idx").alias("feature_id"), F.col("p.val").alias("v")) if packed else feats
+        loc, mu, var = local_stats(shard, long, cfg), F.col("mu"), F.col(second)
+    sums = loc.groupBy("feature_id").agg(F.sum(mu).alias("a"), F.sum(var).alias("b"))
     qw = cfg.q * cfg.participants
-    noise = lambda tag, which: normal(cfg.seed, f"noise-{tag}", F.col("feature_id")) * (_caps(cfg, which) * cfg.z / qw) if cfg.z else F.lit(0.0)
     out = catalogue.select("feature_id").join(sums, "feature_id", "left")
-    out = out.select("feature_id", (F.coalesce("a", F.lit(0.0)) / qw + noise("mu", "mu")).alias("mean"), (F.coalesce("b", F.lit(0.0)) / qw + noise("var", "var")).alias("var"))
+    noise = lambda which: F.lit(0.0)
+    if cfg.z:
+        out = out.join(_noise(catalogue, cfg), "feature_id")
+        noise = lambda which: F.col(f"g_{which}") * (_caps(cfg, which) * cfg.z / qw)
+    out = out.select("feature_id", (F.coalesce("a", F.lit(0.0)) / qw + noise("mu")).alias("mean"), (F.coalesce("b", F.lit(0.0)) / qw + noise("var")).alias("var"))
     return out if cfg.pooling == "mean_of_local" else out.withColumn("var", F.col("var") - F.col("mean") * F.col("mean"))
 
 
