@@ -8,8 +8,8 @@ broadcast. The texts move once (the exchange is used twice) and positions never
 Decoding joins the ids with the token-byte table, which has as many rows as the tokenizer (fixed, about
 50,000), at each executor.
 
-A bucket is worked on as a whole; their number is the session's shuffle partitions unless given, so one holds the
-text of one shuffle partition.
+A bucket is worked on as a whole; their number is the session's shuffle partitions unless given. Buckets are named so that
+Spark's hash puts one in each shuffle partition: named 0, 1, ..., some partitions would get several and a third of them none.
 
 Defined results: null and empty texts give no ids and empty bytes; strings of special tokens are ordinary text;
 rows need not be distinct; an empty table gives an empty table. Extra columns are carried along if asked for.
@@ -26,7 +26,7 @@ import numpy as np
 import pyarrow as pa
 import regex
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import buckets
@@ -149,6 +149,16 @@ def _unpack(blob: bytes) -> list[bytes]:
     return [data[a:b] for a, b in zip([4 * n, *end[:-1].tolist()], end.tolist(), strict=True)] if n else []
 
 
+def bucket_names(spark: SparkSession, n: int) -> list[int]:
+    """n integers, the i-th of which Spark's hash partitioning sends to partition i of n."""
+    tried = n * (n.bit_length() + 12)
+    while True:
+        found = spark.range(tried).select(F.pmod(F.hash(F.col("id").cast("int")), F.lit(n)).alias("p"), "id").groupBy("p").agg(F.min("id")).collect()  # n rows
+        if len(found) == n:
+            return [i for _, i in sorted(tuple(r) for r in found)]
+        tried *= 2
+
+
 def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), digest: bool = False, n_buckets: int | None = None, by_chunk: bool = True) -> DataFrame:
     """keep's columns with n_tokens, ids (little-endian unsigned 32-bit) and decoded (bytes); with digest, SHA-256 of the two instead.
 
@@ -157,7 +167,9 @@ def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", keep: t
     n = n_buckets or buckets(docs.sparkSession)
     kept = [c for c in keep if c not in ("n_tokens", "ids", "decoded", "ids_sha256", "decoded_sha256", "_bucket", "_text")]
     placed = docs.select(*[F.col(f"`{c}`") for c in kept], F.coalesce(F.col(text), F.lit("")).alias("_text"))
-    placed = placed.withColumn("_bucket", F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in kept], "_text"), F.lit(n)).cast("int")).repartition(n, "_bucket")
+    names_of = F.expr(f"array({', '.join(map(str, bucket_names(docs.sparkSession, n)))})")
+    dealt = F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in kept], "_text"), F.lit(n)).cast("int")
+    placed = placed.withColumn("_bucket", F.get(names_of, dealt)).repartition(n, "_bucket")
     at = len(kept)
 
     def distinct_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
