@@ -7,7 +7,7 @@ dictionaries haven't seen, makes it a probability. Every text counts as if it ha
 short texts lean to it.
 
 The labelled sample is bounded: at most ``per_label`` rows of each label, those of least hash, and of each text
-``sample_chunks`` evenly spaced chunks; both are parameters. Scoring reads every whole text, in the executors, with no shuffle.
+``text_chunks`` evenly spaced chunks for the curve and ``sample_chunks`` for the dictionaries; all are parameters. Scoring reads every whole text, in the executors, with no shuffle.
 
 Defined results: null and empty texts score as the sample's mean difference does; without labelled rows of both
 labels every score is the share of good ones (0.5 without any rows); repeated rows get equal scores; an
@@ -89,13 +89,9 @@ def fit(rows: list[tuple[bytes, int]], chunk: int = 512, dictionary_bytes: int =
     ends = []
     for k in (1, 0):
         parts = [c for t in by[k][::2] for c in chunks_of(t, chunk, sample_chunks)]
-        room, own = dictionary_bytes, []
-        each = max(256, dictionary_bytes // max(1, len(parts)))  # a share of the dictionary for each chunk
-        for c in parts:
-            if room > 0:
-                own.append(c[: min(each, room)])
-                room -= len(own[-1])
-        ends.append(b"\n".join(own))
+        n = min(len(parts), max(1, dictionary_bytes // 256))  # at least 256 bytes of each chunk; of more chunks than have room, evenly spaced ones
+        each = max(1, dictionary_bytes // max(1, n))
+        ends.append(b"\n".join(parts[i * len(parts) // n][:each] for i in range(n)))
     tools = _compressors(*ends)
     rest = [(t, k) for k in (0, 1) for t in by[k][1::2]]
     plain = Model(*ends, 0.0, 0.0, chunk, weight=0)
@@ -106,13 +102,21 @@ def fit(rows: list[tuple[bytes, int]], chunk: int = 512, dictionary_bytes: int =
     return Model(*ends, *_logistic(x, y), chunk, centre)
 
 
-def sample(docs: DataFrame, labels: DataFrame, usable: Column, per_label: int = 1500, text: str = "text", key: str = "doc_id", label: str = "quality") -> list[tuple[bytes, int]]:
-    """Bounded: at most per_label labelled rows of each label, of least hash; only their texts move."""
+def sample(docs: DataFrame, labels: DataFrame, usable: Column, per_label: int = 1500, text: str = "text", key: str = "doc_id", label: str = "quality", chunk: int = 512, text_chunks: int = 128) -> list[tuple[bytes, int]]:
+    """Bounded: at most per_label labelled rows of each label, of least hash; only their texts move, and of a text
+    of over text_chunks chunks that many, evenly spaced, which the executors cut: 64 KB a row."""
     ids = labels.where(usable & F.col(label).isin(0, 1) & F.col(key).isNotNull()).select(F.col(key).alias("_id"), F.col(label).cast("int").alias("_y")).distinct()
     ids = ids.withColumn("_h", F.xxhash64("_id"))
     chosen = ids.where("_y = 0").orderBy("_h", "_id").limit(per_label).unionAll(ids.where("_y = 1").orderBy("_h", "_id").limit(per_label))
     # 2 * per_label rows of 20 bytes, by the limits above
-    got = docs.select(F.col(key).alias("_id"), F.col(text).cast("binary").alias("_t")).join(F.broadcast(chosen), "_id").where("_t is not null")
+    got = docs.select(F.col(key).alias("_id"), F.col(text).cast("binary").alias("_t")).join(F.broadcast(chosen), "_id").where("_t is not null").select("_h", "_y", "_t")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cut = [b"".join(chunks_of(t.as_buffer().to_pybytes(), chunk, text_chunks)) for t in batch.column(2)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(cut, pa.binary())], ["_h", "_y", "_t"])
+
+    got = got.mapInArrow(run, "_h long, _y int, _t binary")
     rows = sorted(got.select("_h", "_y", "_t").collect(), key=lambda r: (r["_h"], r["_y"], bytes(r["_t"])))
     return [(bytes(r["_t"]), r["_y"]) for r in rows]
 
