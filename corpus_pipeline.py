@@ -1,14 +1,20 @@
-"""A corpus pipeline of five stages over `documents`, each written as Parquet before the next reads it."""
+"""A corpus pipeline of five stages over `documents`, each written as Parquet before the next reads it.
+
+Defined results: null and empty texts are scored as the classifier's docstring says and, where they pass, are one
+group of copies of which one row stays; rows that repeat a key share its fate; a text of under five words is one gram in the near stage; a null source is
+a source of its own; empty tables give an empty table; extra columns go along
+as far as the mix, and the last stage returns doc_id, source, n_tokens and the two digests.
+"""
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tracefl.llm import byte_bpe, compression, exact_dedup, jaccard_join, mixing
+from tracefl.llm.common import shared_folder
 from tracefl.llm.queries import incoming, quality_model, tokenizer
 
 
@@ -41,15 +47,9 @@ STAGES = [("quality classifier", quality_classifier), ("exact dedup", exact), ("
 ORACLE_SQL = None
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """A new folder below the cluster's shared one; in tests, where none is set, below a temporary one."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="corpus-pipeline-")
-    return f"{base.rstrip('/')}/pipeline-{uuid.uuid4().hex}"
-
-
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    folder = shared_folder(spark)
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for i, (_, stage) in enumerate(STAGES):
         out = stage(spark, docs, sf_dir)
         if i == len(STAGES) - 1:
