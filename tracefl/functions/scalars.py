@@ -74,3 +74,4 @@ events("fn_json_tuple", "SELECT event_id, json_extract_string(props, '$.k') AS k
 cust("fn_to_json_update", "SELECT c_custkey, '{\"id\":' || c_custkey || ',\"seg\":\"' || c_mktsegment || '\"}' AS j FROM customer", lambda c: c.select("c_custkey", F.to_json(F.struct(F.col("c_custkey").alias("id"), F.col("c_mktsegment").alias("seg"))).alias("j")))
 # conditions
 lines("fn_case_families", "SELECT l_orderkey, l_linenumber, CASE WHEN l_quantity > 40 THEN 'high' WHEN l_quantity > 20 THEN 'middle' ELSE 'low' END AS c FROM lineitem", lambda x: x.select("l_orderkey", "l_linenumber", F.when(F.col("l_quantity") > 40, "high").when(F.col("l_quantity") > 20, "middle").otherwise("low").alias("c")))
+events("fn_schema_explicit", "SELECT event_id, CAST(props->>'$.k' AS INTEGER) AS k, CAST(props->>'$.absent' AS DOUBLE) AS absent FROM events", lambda e: e.select("event_id", F.from_json("props", "k int, absent double").alias("p")).select("event_id", "p.k", "p.absent"))

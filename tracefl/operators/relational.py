@@ -291,6 +291,9 @@ _events("wn_range_ties", f"SELECT event_id, count(*) OVER (PARTITION BY user_id
 _events("wn_moving_rounds", f"SELECT event_id, max(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW) AS m {_E}", lambda e: e.select("event_id", F.max("value").over(_U().rowsBetween(-4, 0)).alias("m")))
 _events("wn_range_interval_1h", f"SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 HOUR PRECEDING AND CURRENT ROW) AS n {_E}", lambda e: e.select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("n")))
 _events("wn_first_last", f"SELECT event_id, first_value(event_type) OVER w AS f, last_value(event_type) OVER w AS l, nth_value(event_type, 2) OVER w AS s {_E} WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", lambda e: e.select("event_id", *[f.over(_U().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias(n) for f, n in ((F.first("event_type"), "f"), (F.last("event_type"), "l"), (F.nth_value("event_type", 2), "s"))]))
+_events("wn_cume_dist", f"SELECT event_id, round(cume_dist() OVER (PARTITION BY user_id ORDER BY event_type), 6) AS c {_E}", lambda e: e.select("event_id", F.round(F.cume_dist().over(Window.partitionBy("user_id").orderBy("event_type")), 6).alias("c")))
+_events("wn_nth_value", f"SELECT event_id, nth_value(event_type, 3) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS third {_E}", lambda e: e.select("event_id", F.nth_value("event_type", 3).over(_U().rowsBetween(Window.unboundedPreceding, 0)).alias("third")))
+_events("wn_dense_rank_importance", f"SELECT user_id, event_type, dense_rank() OVER (PARTITION BY user_id ORDER BY n DESC) AS rank FROM (SELECT user_id, event_type, count(*) AS n {_E} GROUP BY user_id, event_type)", lambda e: e.groupBy("user_id", "event_type").agg(F.count("*").alias("n")).select("user_id", "event_type", F.dense_rank().over(Window.partitionBy("user_id").orderBy(F.desc("n"))).alias("rank")))
 _events("wn_ratio_total", f"SELECT DISTINCT user_id, event_type, round(count(*) OVER (PARTITION BY user_id, event_type) / count(*) OVER (PARTITION BY user_id), 6) AS share {_E}", lambda e: r6(e.groupBy("user_id", "event_type").agg(F.count("*").alias("c")).select("user_id", "event_type", (F.col("c") / F.sum("c").over(Window.partitionBy("user_id"))).alias("share")), "share"))
 
 # sorts, limits, sets ---------------------------------------------------------------------------------------------------------------
