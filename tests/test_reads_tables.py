@@ -10,7 +10,7 @@ from tests.conftest import TINY
 from tracefl import registry
 from tracefl.carriers import read
 
-NAMES = ("f5_admissible", "f6_feature_sets", "f6a_set_algebra", "k10_feature_budget")
+NAMES = ("e14_footprint", "f5_admissible", "f6_feature_sets", "f6a_set_algebra", "k10_feature_budget")
 
 
 @pytest.fixture(scope="module")
