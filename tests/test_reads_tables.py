@@ -10,7 +10,7 @@ from tests.conftest import TINY
 from tracefl import registry
 from tracefl.carriers import read
 
-NAMES = ("e10_discrete_gaussian", "e14_footprint", "e9_noise_by_features", "f5_admissible", "f6_feature_sets", "f6a_set_algebra", "k10_feature_budget")
+NAMES = ("e10_discrete_gaussian", "e14_footprint", "e7_font_probe", "e9_noise_by_features", "f5_admissible", "f6_feature_sets", "f6a_set_algebra", "k10_feature_budget")
 
 
 @pytest.fixture(scope="module")
