@@ -10,7 +10,7 @@ from tests.conftest import TINY
 from tracefl import registry
 from tracefl.carriers import read
 
-NAMES = ("e10_discrete_gaussian", "e14_footprint", "e7_font_probe", "e9_noise_by_features", "f5_admissible", "f6_feature_sets", "f6a_set_algebra", "jn_cross_grid", "k10_feature_budget", "k5_k6_comparisons")
+NAMES = ("e10_discrete_gaussian", "e14_footprint", "e7_font_probe", "e9_noise_by_features", "f5_admissible", "f6_feature_sets", "f6a_set_algebra", "jn_cross_grid", "k10_feature_budget", "k5_k6_comparisons", "k7_importance")
 
 
 @pytest.fixture(scope="module")
