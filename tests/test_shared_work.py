@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
-from tracefl import catalogue, scaling
+from tests.conftest import TINY
+from tracefl import catalogue, experiments, federated, scaling
 from tracefl.features import pack
 
 
@@ -16,8 +18,35 @@ def test_hashed_cohorts_by_key(spark, monkeypatch):
     table = catalogue.table(spark)
     cfg = scaling.ScaleConfig(12, q=0.5)
     picks = scaling.cohorts(shard.select("participant_id").distinct(), table, cfg)
+    picks = spark.createDataFrame(picks.collect(), picks.schema)
     of = lambda df: np.array([[r["mean"], r["var"]] for r in df.orderBy("feature_id").collect()])
     want = of(scaling.fit(shard, pack(feats), table, cfg, picks))
     monkeypatch.setattr(scaling, "cohorts", None)  # not called any more
     assert np.allclose(of(scaling.fit(shard, feats, table, cfg)), want) and np.allclose(of(scaling.fit(shard, pack(feats), table, cfg)), want)
     assert want.any()
+
+
+@pytest.fixture
+def case(spark):
+    case = experiments.prepare(spark, TINY)
+    yield case
+    case.done()
+
+
+def test_runs_that_are_shared(case, monkeypatch):
+    """Seeds without effect cost one run; shares of limited participants cost one job a round, with the areas that each has alone."""
+    made, train_many = [], federated.train_many
+
+    def counted(runs, *args, **how):
+        made.append(len(runs))
+        return train_many(runs, *args, **how)
+
+    monkeypatch.setattr(federated, "train_many", counted)
+    got = experiments.by_participants(case, ws=(5,), sets=("native",), rounds=1, seeds=3)
+    assert made == [1] and len(got) == 3 and len({a for *_, a in got}) == 1
+    made.clear()
+    both = experiments.by_limited(case, shares=(0.0, 0.8), w=200, rounds=1, sample=20, seeds=1)
+    assert made == [2] and [s for s, *_ in both] == [0.0, 0.8]
+    for share, _, _, area in both:
+        alone = experiments.sweep(case, {"0": federated.run_of(experiments.base(200, rounds=1, seed="fl0"), case.mean, case.scale)}, experiments.limited(case, share))
+        assert alone["0"] == pytest.approx(area)
