@@ -50,3 +50,11 @@ def test_runs_that_are_shared(case, monkeypatch):
     for share, _, _, area in both:
         alone = experiments.sweep(case, {"0": federated.run_of(experiments.base(200, rounds=1, seed="fl0"), case.mean, case.scale)}, experiments.limited(case, share))
         assert alone["0"] == pytest.approx(area)
+
+
+def test_one_set_of_sums_for_all_noise(case):
+    got = experiments.private_scales(case, 300, 0.05, {0.5, 2.0}, "scale3")
+    for z in got:
+        want = experiments.private_scale(case, 300, 0.05, z, seed="scale3", noise="seeded")
+        assert np.allclose(got[z][0], want[0]) and np.allclose(got[z][1], want[1])
+    assert not np.allclose(got[0.5][0], got[2.0][0])
