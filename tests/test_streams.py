@@ -31,3 +31,18 @@ def test_no_event_is_lost(spark, tmp_path):
     e = read(spark, TINY, "events")
     e.withColumn("ts", F.when(F.col("event_id") % 3 != 0, F.col("ts"))).withColumn("event_id", F.when(F.col("event_id") % 2 != 0, F.col("event_id"))).write.parquet(f"{tmp_path}/events.parquet")
     assert registry.queries()["src_stream_files"](spark, str(tmp_path)).first()["n"] == e.count()
+
+
+@pytest.mark.parametrize("files", [0, 5])
+def test_static_model_reads_the_table_in_place(spark, tmp_path, monkeypatch, files):
+    """No copy of the events is made first, be the table one file or a folder."""
+    folder = TINY
+    if files:
+        folder = str(tmp_path)
+        read(spark, TINY, "events").repartition(files).write.parquet(f"{folder}/events.parquet")
+    monkeypatch.setattr("tracefl.streaming.event_streams.arrivals", lambda *a, **k: pytest.fail("copied"))
+    got = registry.queries()["sm_join_static_model"](spark, folder)
+    e = read(spark, TINY, "events")
+    weight = F.expr("CASE event_type WHEN 'click' THEN 0.5D WHEN 'view' THEN 0.1D WHEN 'purchase' THEN 2.0D END")
+    want = e.select("event_id", "user_id", F.round(F.col("value") * weight, 6).alias("score")).where(weight.isNotNull())
+    assert got.count() == want.count() and got.exceptAll(want).isEmpty()
