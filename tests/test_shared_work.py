@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tests.conftest import TINY
-from tracefl import catalogue, experiments, federated, scaling
+from tracefl import catalogue, experiments, federated, model, scaling
 from tracefl.features import pack
 
 
@@ -58,3 +58,32 @@ def test_one_set_of_sums_for_all_noise(case):
         want = experiments.private_scale(case, 300, 0.05, z, seed="scale3", noise="seeded")
         assert np.allclose(got[z][0], want[0]) and np.allclose(got[z][1], want[1])
     assert not np.allclose(got[0.5][0], got[2.0][0])
+
+
+def test_runs_of_one_cohort_share_its_shards(case, monkeypatch):
+    """The cohort of a seed has its shards made once for all shares and budgets; scores come from one pass over the test part."""
+    met, virtual = [], experiments.virtual
+
+    def counted(case, urls=20):
+        def shards(cohort):
+            if "run" in cohort.columns:
+                met.append({r["run"] for r in cohort.select("run").distinct().collect()})
+            return virtual(case, urls)(cohort)
+
+        return shards
+
+    monkeypatch.setattr(experiments, "virtual", counted)
+    experiments.by_limited(case, shares=(0.0, 0.5, 1.0), w=200, rounds=2, sample=20, seeds=2)
+    assert met == [{"0.0|0", "0.0|1"}] * 2
+    met.clear()
+    runs = {f"{z}|{k}": federated.run_of(experiments.base(200, rounds=1, z=z, seed=f"fl{k}"), case.mean, case.scale) for z in (0.0, 1.0) for k in (0, 1)}
+    got = experiments.sweep(case, runs)
+    assert met == [{"0.0|0", "0.0|1"}]
+    for n, r in runs.items():
+        assert experiments.sweep(case, {n: r})[n] == pytest.approx(got[n])
+    fits = {n: federated.Result(np.linspace(-1, 1, catalogue.N_FEATURES + 1) * (i + 1)) for i, n in enumerate(runs)}
+    scores = experiments.scores(case, fits, runs)
+    assert scores._jdf.queryExecution().optimizedPlan().toString().count("InMemoryRelation") == 1
+    for n, r in runs.items():
+        one = {x["script_id"]: x["score"] for x in model.score_packed(case.test, fits[n].theta, r.mean, r.scale).collect()}
+        assert {x["script_id"]: x["score"] for x in scores.where(F.col("run") == n).collect()} == pytest.approx(one)
