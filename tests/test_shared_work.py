@@ -87,3 +87,21 @@ def test_runs_of_one_cohort_share_its_shards(case, monkeypatch):
     for n, r in runs.items():
         one = {x["script_id"]: x["score"] for x in model.score_packed(case.test, fits[n].theta, r.mean, r.scale).collect()}
         assert {x["script_id"]: x["score"] for x in scores.where(F.col("run") == n).collect()} == pytest.approx(one)
+
+
+def test_statistics_of_several_draws_in_one_job(case, monkeypatch):
+    """As from every draw's own shards and all of their rows, also where a domain's scripts come in several lists."""
+    monkeypatch.setattr(experiments, "LISTED", 2)
+    table = catalogue.table(case.spark)
+    cfgs = {k: scaling.ScaleConfig(w, q=q, seed=k, **experiments.FLAG_CAPS) for k, w, q in (("a", 300, 0.05), ("b", 300, 0.05), ("c", 2000, 0.01))}
+    want = {}
+    for k, cfg in cfgs.items():
+        picks = scaling.drawn_cohorts(table, cfg).cache()
+        want[k] = {r["feature_id"]: (r["mean"], r["var"]) for r in scaling.fit(experiments.virtual(case)(picks.select("participant_id")), case.train, table, cfg, picks).collect()}
+        picks.unpersist()
+    monkeypatch.setattr(experiments, "virtual", None)  # no shards are made whole
+    got = experiments._private_stats(case, cfgs)
+    for k in cfgs:
+        assert len(got[k]) == catalogue.N_FEATURES and any(v for v in want[k].values())
+        for r in got[k]:
+            assert (r["mean"], r["var"]) == pytest.approx(want[k][r["feature_id"]])
